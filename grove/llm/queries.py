@@ -1,41 +1,70 @@
-"""The opN_ queries: each applies one operator to its whole table, and its SQL."""
+"""The opN_ queries: each applies one operator to its whole table. Their SQL is in
+:mod:`grove.llm.oracles`."""
 
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from grove.llm import minmax
+from grove.llm import chat_windows, line_templates, minmax, multi_index, ngram_model, oracles, packing, private_data, quality, spaced_seeds, warc_dict
 from grove.session import table
 
-#: Lower-cased words and the operators' word rule, for DuckDB.
-_ASCII = "translate({0}, 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz')"
-_WORDS = f"list_filter(regexp_split_to_array({_ASCII}, '[\\x20\\x09-\\x0D]+'), lambda x: x <> '')"
+
+def tokenizer_path(name: str = "word_bpe_49k.json") -> str:
+    import public_tokenizers
+
+    return public_tokenizers.path(name)
+
+
+def op1_attention_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    return quality.score(docs, quality.train(docs, table(spark, sf_dir, "labels")), threshold=0.3)
+
+
+def op2_tournament_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return packing.pack(table(spark, sf_dir, "documents"), tokenizer_path(), end_id=2, length=4096)
+
+
+def op3_budgeted_chat_windows(spark: SparkSession, sf_dir: str) -> DataFrame:
+    rows = table(spark, sf_dir, "conversations").select("conv_id", "turn", "role", "text")
+    says = "</s>[INST] ok [/INST]"
+    more = spark.createDataFrame([(-1, 0, "user", says), (-1, 1, "assistant", says)], "conv_id long, turn long, role string, text string")
+    return chat_windows.read_back(chat_windows.windows(rows.unionByName(more)))
+
+
+def op4_weakly_supervised_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return private_data.find_personal(table(spark, sf_dir, "documents"))
+
+
+def op5_dictionary_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return warc_dict.round_trip(table(spark, sf_dir, "pages")).select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to")
+
+
+def op6_inverted_multi_index(spark: SparkSession, sf_dir: str) -> DataFrame:
+    vectors = table(spark, sf_dir, "embeddings")
+    return multi_index.search(vectors, vectors.where(F.col("vec_id") % 20 == 0), top=20)
+
+
+def op7_spaced_seed_leaks(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return spaced_seeds.find_leaks(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark")).drop("digest")
 
 
 def op8_minmax_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
     return minmax.near_duplicates(table(spark, sf_dir, "documents"), percent=85, width=5)
 
 
-_OP8_SQL = f"""
-with recursive w as (select doc_id, {_WORDS.format("coalesce(text, '')")} as w from documents),
-s as (select doc_id, case when len(w) = 0 then cast([] as varchar[]) when len(w) < 5 then [array_to_string(w, ' ')]
-        else list_distinct(list_transform(range(1, len(w) - 3), lambda i: array_to_string(w[i:i+4], ' '))) end as g from w),
-n as (select doc_id, cast(len(g) as bigint) as n_shingles from s),
-u as (select doc_id, unnest(g) as g from s),
-e as (select a.doc_id as a, b.doc_id as b from u a join u b on a.g = b.g and a.doc_id <> b.doc_id
-      join n x on x.doc_id = a.doc_id join n y on y.doc_id = b.doc_id
-      group by a.doc_id, b.doc_id, x.n_shingles, y.n_shingles
-      having 100 * count(*) >= 85 * (x.n_shingles + y.n_shingles - count(*))),
-r as (select doc_id as a, doc_id as b from n union select r.a, e.b from r join e on r.b = e.a)
-select n.doc_id, n.n_shingles, min(r.b) as component_id, n.doc_id = min(r.b) as kept
-from n join r on r.a = n.doc_id group by n.doc_id, n.n_shingles
-"""
+def op9_line_templates(spark: SparkSession, sf_dir: str) -> DataFrame:
+    out = line_templates.drop_recurring(table(spark, sf_dir, "documents"))
+    return out.select("doc_id", F.col("_n_lines").alias("n_lines"), F.col("_n_dropped").alias("n_dropped"), F.md5("text").alias("text_md5"))
+
+
+def op10_trie_language_model(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return ngram_model.score_documents(table(spark, sf_dir, "documents"))
 
 
 def queries() -> dict:
-    return {"op8_minmax_near_duplicates": op8_minmax_near_duplicates}
+    return {k: v for k, v in globals().items() if k.startswith("op") and callable(v)}
 
 
 def oracle_sql() -> dict:
-    return {"op8_minmax_near_duplicates": _OP8_SQL}
+    return oracles.SQL
