@@ -4,10 +4,18 @@ Public method: in turn, every node hangs its larger neighbours, then its smaller
 neighbours, on the least id it can see. Each half is one aggregation and one join
 on the node id, so a hub is a skewed join that Spark can split, never a group held
 in memory. The edge set shrinks to one star per component around its least id.
+
+Before the rounds the edges are dealt into blocks of bounded size and each block is
+contracted by union-find to a forest of stars. That is one shuffle, and where all
+edges fit one block it is the whole job.
 """
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -19,11 +27,28 @@ def _fingerprint(edges: DataFrame) -> tuple[int, int]:
     return row.n, row.x or 0
 
 
-def _hang(pairs: DataFrame, least: DataFrame) -> DataFrame:
-    return pairs.join(least, "at")
+def _contract(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Each node of the block with the least id of its component in the block."""
+    up: dict[int, int] = {}
+
+    def find(x: int) -> int:
+        root = x
+        while (y := up.setdefault(root, root)) != root:
+            root = y
+        while up[x] != root:
+            up[x], x = root, up[x]
+        return root
+
+    for b in batches:
+        for x, y in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):
+            x, y = find(x), find(y)
+            if x != y:
+                up[max(x, y)] = min(x, y)
+    pairs = np.array([(v, r) for v in up if (r := find(v)) != v], np.int64).reshape(-1, 2)
+    yield pa.RecordBatch.from_arrays([pa.array(pairs[:, 0]), pa.array(pairs[:, 1])], names=["hi", "lo"])
 
 
-def star_components(edges: DataFrame, a: str = "src", b: str = "dst", max_rounds: int = 60) -> DataFrame:
+def star_components(edges: DataFrame, a: str = "src", b: str = "dst", max_rounds: int = 60, block: int = 1_000_000) -> DataFrame:
     """(v, leader) for every node that has an edge; leader is its component's least id.
 
     Loops, null ends and repeated edges are ignored; an empty edge table gives an
@@ -32,11 +57,13 @@ def star_components(edges: DataFrame, a: str = "src", b: str = "dst", max_rounds
     x, y = F.col(a), F.col(b)
     now = cut(
         edges.where(x.isNotNull() & y.isNotNull() & (x != y))
-        .select(F.greatest(x, y).alias("hi"), F.least(x, y).alias("lo"))
-        .distinct(),
+        .select(F.greatest(x, y).cast("long").alias("hi"), F.least(x, y).cast("long").alias("lo")),
         "stars",
     )
-    mark = _fingerprint(now)
+    blocks = -(-now.count() // block)
+    raw, now = now, cut(now.repartition(max(1, blocks)).mapInArrow(_contract, "hi long, lo long"), "stars")
+    drop_cut(raw)
+    mark = _fingerprint(now) if blocks > 1 else (0, 0)
     for _ in range(max_rounds):
         if mark[0] == 0:
             break
@@ -44,7 +71,7 @@ def star_components(edges: DataFrame, a: str = "src", b: str = "dst", max_rounds
             now.select(F.col("lo").alias("at"), F.col("hi").alias("of"))
         )
         least = both.groupBy("at").agg(F.least(F.min("of"), F.first("at")).alias("m"))
-        large = _hang(both.where("of > at"), least).select(F.col("of").alias("hi"), F.col("m").alias("lo")).distinct()
+        large = both.where("of > at").join(least, "at").select(F.col("of").alias("hi"), F.col("m").alias("lo")).distinct()
         down = large.groupBy("hi").agg(F.min("lo").alias("m"))
         small = (
             large.join(down, "hi")
