@@ -168,33 +168,34 @@ def candidates(docs: DataFrame) -> DataFrame:
 
 def estimate(cells: list[tuple[int, tuple[int, ...], int, int]], rounds: int = 30) -> tuple[list[float], dict]:
     """Posterior of each cell (kind, votes, length, count), and the labelers' reliabilities
-    P(vote | personal), P(vote | not), by expectation-maximisation."""
+    P(vote | personal), P(vote | not), by expectation-maximisation. No opinion is no evidence."""
     kinds = sorted({c[0] for c in cells})
     share = {k: 0.7 for k in kinds}
-    rely = {(j, y, v): {1: {1: 0.6, 0: 0.3, -1: 0.1}, 0: {1: 0.2, 0: 0.3, -1: 0.5}}[y][v] for j in range(len(LABELERS)) for y in (0, 1) for v in (-1, 0, 1)}
+    prior = {(1, 1): 0.8, (1, -1): 0.2, (0, 1): 0.3, (0, -1): 0.7}
+    rely = {(j, y, v): prior[y, v] for j in range(len(LABELERS)) for y in (0, 1) for v in (-1, 1)}
     post = [0.5] * len(cells)
     for _ in range(rounds):
         for n, (k, votes, _len, _c) in enumerate(cells):
-            a = math.log(share[k]) + sum(math.log(rely[j, 1, v]) for j, v in enumerate(votes))
-            b = math.log(1 - share[k]) + sum(math.log(rely[j, 0, v]) for j, v in enumerate(votes))
+            a = math.log(share[k]) + sum(math.log(rely[j, 1, v]) for j, v in enumerate(votes) if v)
+            b = math.log(1 - share[k]) + sum(math.log(rely[j, 0, v]) for j, v in enumerate(votes) if v)
             post[n] = 1 / (1 + math.exp(min(60, max(-60, b - a))))
         for k in kinds:
             own = [(p, c[3]) for p, c in zip(post, cells, strict=True) if c[0] == k]
-            share[k] = min(0.99, max(0.01, (sum(p * c for p, c in own) + 1.4) / (sum(c for _, c in own) + 2)))
+            share[k] = min(0.99, max(0.01, (sum(p * c for p, c in own) + 7) / (sum(c for _, c in own) + 10)))
         for j in range(len(LABELERS)):
             for y in (0, 1):
-                mass = {v: 5 * {1: {1: 0.6, 0: 0.3, -1: 0.1}, 0: {1: 0.2, 0: 0.3, -1: 0.5}}[y][v] for v in (-1, 0, 1)}
+                mass = {v: 20 * prior[y, v] for v in (-1, 1)}
                 for p, c in zip(post, cells, strict=True):
-                    mass[c[1][j]] += c[3] * (p if y else 1 - p)
-                total = sum(mass.values())
+                    if c[1][j]:
+                        mass[c[1][j]] += c[3] * (p if y else 1 - p)
                 for v in mass:
-                    rely[j, y, v] = mass[v] / total
+                    rely[j, y, v] = mass[v] / sum(mass.values())
     return post, {"share": share, "rely": rely}
 
 
 def _inputs(k: int, votes: tuple[int, ...], size: int) -> list[int]:
-    """Indices of the classifier's active inputs: kind, each vote, length."""
-    return [k, *[len(KINDS) + 3 * j + v + 1 for j, v in enumerate(votes)], len(KINDS) + 3 * len(LABELERS) + size]
+    """Indices of the classifier's active inputs: kind, each vote that was cast, length."""
+    return [k, *[len(KINDS) + 3 * j + v + 1 for j, v in enumerate(votes) if v], len(KINDS) + 3 * len(LABELERS) + size]
 
 
 def fit_classifier(cells: list, post: list[float], steps: int = 300, rate: float = 0.5) -> list[float]:
