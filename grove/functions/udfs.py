@@ -7,6 +7,7 @@ from collections.abc import Iterator
 import pandas as pd
 from pyspark.sql import Column, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 from pyspark.sql.functions import udtf
 
 from grove.functions import coins
@@ -28,7 +29,7 @@ def lowest_diff_bit(a: Column, b: Column) -> Column:
     return F.bit_count(x.bitwiseAND(-x) - 1)
 
 
-@F.pandas_udf("int")
+@F.pandas_udf(T.IntegerType())
 def lowest_diff_bit_pandas(a: pd.Series, b: pd.Series) -> pd.Series:
     """The same as an Arrow-batched function."""
     import numpy as np
