@@ -37,6 +37,8 @@ from grove.session import cut, scratch
 DICT_MAGIC = 0x184D2A5D
 EOL = b"\r\n"
 SAMPLE_BYTES, DICT_BYTES, FEWEST = 1 << 20, 64 << 10, 16
+#: Up to so many archive names are broadcast when archives are read.
+MANY_ARCHIVES = 100_000
 _BAD = re.compile(r"[\x00-\x20\x7f]")
 
 
@@ -196,7 +198,9 @@ def read_archives(records: DataFrame, folder: str) -> DataFrame:
     """(page_id, url, record_type, refers_to, payload_bytes, payload_digest, html) of every record in the
     archives that ``records`` names; html is null for revisits."""
     spark = records.sparkSession
-    named = records.select("archive").distinct()
+    named = cut(records.select("archive").distinct(), "archives")
+    if named.count() <= MANY_ARCHIVES:  # names of 41 bytes
+        named = F.broadcast(named)
     files = spark.read.format("binaryFile").option("pathGlobFilter", "*.warc.zst").load(folder).select(F.element_at(F.split("path", "/"), -1).alias("archive"), "content")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
