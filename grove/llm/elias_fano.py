@@ -9,6 +9,8 @@ from __future__ import annotations
 
 import numpy as np
 
+#: Queries are answered in pieces that stay in a processor's cache.
+STEP = 1 << 14
 _ONE = np.uint64(1)
 _BITS = np.array([bin(i).count("1") for i in range(256)], np.uint8)
 _NTH = np.full((256, 8), 8, np.uint8)
@@ -65,19 +67,20 @@ class EliasFano:
         """Position of the k-th (from 0) zero or one of the high bits."""
         before = self.zeros if zeros else self.ones.astype(np.int64)
         block = np.searchsorted(before, k, "right") - 1
-        r = k - before[block]
-        w = self.high[block[:, None] * 8 + np.arange(8)]
+        r = (k - before[block]).astype(np.uint16)
+        w = self.high.reshape(-1, 8)[block]
         if zeros:
-            w = ~w
-        upto = np.cumsum(np.bitwise_count(w), axis=1, dtype=np.int64)
-        j = (upto <= r[:, None]).sum(1)
+            np.invert(w, out=w)
+        upto = np.cumsum(np.bitwise_count(w), axis=1, dtype=np.uint16)
+        j = (upto <= r[:, None]).sum(1, dtype=np.uint8)
         rows = np.arange(len(k))
-        r -= np.where(j > 0, upto[rows, j - 1], 0)
+        r -= np.where(j > 0, upto[rows, j - (j > 0)], 0).astype(np.uint16)
         octets = np.ascontiguousarray(w[rows, j]).view(np.uint8).reshape(-1, 8)
-        upto = np.cumsum(_BITS[octets], axis=1, dtype=np.int64)
-        o = (upto <= r[:, None]).sum(1)
-        r -= np.where(o > 0, upto[rows, o - 1], 0)
-        return (block * 8 + j) * 64 + o * 8 + _NTH[octets[rows, o], r]
+        upto = np.cumsum(_BITS[octets], axis=1, dtype=np.uint8)
+        r = r.astype(np.uint8)
+        o = (upto <= r[:, None]).sum(1, dtype=np.uint8)
+        r -= np.where(o > 0, upto[rows, o - (o > 0)], 0).astype(np.uint8)
+        return (block * 8 + j) * 64 + o.astype(np.int64) * 8 + _NTH[octets[rows, o], r]
 
     def _low(self, i: np.ndarray) -> np.ndarray:
         if not self.bits:
@@ -93,15 +96,22 @@ class EliasFano:
     def get(self, i: np.ndarray) -> np.ndarray:
         """The values at positions i."""
         i = np.asarray(i, np.int64)
-        if len(i) == 0:
-            return np.zeros(0, np.uint64)
-        return ((self._nth(i, False) - i).astype(np.uint64) << np.uint64(self.bits)) | self._low(i)
+        out = np.empty(len(i), np.uint64)
+        for a in range(0, len(i), STEP):
+            part = i[a : a + STEP]
+            out[a : a + STEP] = ((self._nth(part, False) - part).astype(np.uint64) << np.uint64(self.bits)) | self._low(part)
+        return out
 
     def find(self, x: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """(number of values below x, whether x is there), for each x."""
         x = np.asarray(x, np.uint64)
-        if self.n == 0 or len(x) == 0:
-            return np.zeros(len(x), np.int64), np.zeros(len(x), bool)
+        at, there = np.zeros(len(x), np.int64), np.zeros(len(x), bool)
+        if self.n:
+            for a in range(0, len(x), STEP):
+                at[a : a + STEP], there[a : a + STEP] = self._find(x[a : a + STEP])
+        return at, there
+
+    def _find(self, x: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         h = (x >> np.uint64(self.bits)).astype(np.int64)
         out = h > self.top
         h = np.minimum(h, self.top)
