@@ -7,12 +7,12 @@ _ASCII = "translate({0}, 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwx
 _SPLIT = "list_filter(regexp_split_to_array({0}, '[\\x20\\x09-\\x0D]+'), lambda x: x <> '')"
 
 _OP8 = f"""
-with recursive w as (select doc_id, {_SPLIT.format(_ASCII.format("coalesce(text, '')"))} as w from documents),
-s as (select doc_id, case when len(w) = 0 then cast([] as varchar[]) when len(w) < 5 then [array_to_string(w, ' ')]
+with recursive w as materialized (select doc_id, {_SPLIT.format(_ASCII.format("coalesce(text, '')"))} as w from documents),
+s as materialized (select doc_id, case when len(w) = 0 then cast([] as varchar[]) when len(w) < 5 then [array_to_string(w, ' ')]
         else list_distinct(list_transform(range(1, len(w) - 3), lambda i: array_to_string(w[i:i+4], ' '))) end as g from w),
-n as (select doc_id, cast(len(g) as bigint) as n_shingles from s),
-u as (select doc_id, unnest(g) as g from s),
-e as (select a.doc_id as a, b.doc_id as b from u a join u b on a.g = b.g and a.doc_id <> b.doc_id
+n as materialized (select doc_id, cast(len(g) as bigint) as n_shingles from s),
+u as materialized (select doc_id, hash(g) as g from (select doc_id, unnest(g) as g from s)),
+e as materialized (select a.doc_id as a, b.doc_id as b from u a join u b on a.g = b.g and a.doc_id <> b.doc_id
       join n x on x.doc_id = a.doc_id join n y on y.doc_id = b.doc_id
       group by a.doc_id, b.doc_id, x.n_shingles, y.n_shingles
       having 100 * count(*) >= 85 * (x.n_shingles + y.n_shingles - count(*))),
