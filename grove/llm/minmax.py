@@ -262,7 +262,7 @@ def near_duplicates(
     ``width``-word shingles; ``component_id`` is the least id reachable.
     """
     loose = loose if loose is not None else percent / 100 - 0.15
-    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
+    rows = ta.whole_texts(docs).select(F.col("doc_id").cast("long").alias("doc_id"), "text")
     signed = cut(
         rows.mapInArrow(lambda it: _sign(it, width), "doc_id long, n_shingles long, d1 long, d2 long, bands array<long>, sketch binary"),
         "signed",

@@ -36,23 +36,28 @@ _LOADED: dict[str, tuple] = {}
 def _tokenizer(path: str) -> tuple:
     """The tokenizer without its own normaliser (done here on whole blocks), and the id of the mark."""
     if path not in _LOADED:
-        import os
-
-        os.environ["TOKENIZERS_PARALLELISM"] = "false"
-        from tokenizers import Tokenizer
-
-        full, bare = Tokenizer.from_file(path), Tokenizer.from_file(path)
+        bare = _load(path)
         bare.normalizer = None
-        full.encode_special_tokens = bare.encode_special_tokens = True
         mark = bare.encode(_MARK, add_special_tokens=False).ids
         assert len(mark) == 1
-        _LOADED[path] = (full, bare, mark[0])
+        _LOADED[path] = (bare, mark[0])
     return _LOADED[path]
 
 
+def _load(path: str):
+    import os
+
+    os.environ["TOKENIZERS_PARALLELISM"] = "false"
+    from tokenizers import Tokenizer
+
+    loaded = Tokenizer.from_file(path)
+    loaded.encode_special_tokens = True
+    return loaded
+
+
 def word_ids(words: list[str], path: str) -> tuple[np.ndarray, np.ndarray]:
     """(ids of all words in a row, number of ids of each)."""
-    full, bare, mark = _tokenizer(path)
+    bare, mark = _tokenizer(path)
     odd = [i for i, w in enumerate(words) if _MARK in w]
     plain = words if not odd else ["" if _MARK in w else w for w in words]
     blocks = []
@@ -60,13 +65,15 @@ def word_ids(words: list[str], path: str) -> tuple[np.ndarray, np.ndarray]:
         text = f" {_MARK} ".join(plain[k : k + 64]) + f" {_MARK}"
         text = unicodedata.normalize("NFC", text)
         blocks.append(text.replace("Σ", "σ").lower())
-    parts = [np.array(e.ids, np.uint32) for e in bare.encode_batch_fast(blocks, add_special_tokens=False)]
+    parts = []
+    for k in range(0, len(blocks), 256):  # an encoding is far larger than its ids
+        parts += [np.array(e.ids, np.uint32) for e in bare.encode_batch_fast(blocks[k : k + 256], add_special_tokens=False)]
     flat = np.concatenate(parts) if parts else np.zeros(0, np.uint32)
     at = np.flatnonzero(flat == mark)
     sizes = np.diff(at, prepend=-1) - 1
     ids = np.delete(flat, at)
     if odd:
-        cuts = np.split(ids, np.cumsum(sizes)[:-1])
+        cuts, full = np.split(ids, np.cumsum(sizes)[:-1]), _load(path)
         for i in odd:
             cuts[i] = np.array(full.encode(words[i], add_special_tokens=False).ids, np.uint32)
         sizes = np.array([len(c) for c in cuts])
@@ -103,7 +110,7 @@ def encode_column(column: pa.Array, path: str, end_id: int | None) -> Iterator[t
 def _pieces(batches: Iterator[pa.RecordBatch], path: str, end_id: int, length: int, keep_ids: bool) -> Iterator[pa.RecordBatch]:
     seen = 0
     for whole in batches:
-        for batch in ta.slices(whole, "text", 32 << 20):
+        for batch in ta.slices(whole, "text", 16 << 20):
             doc = batch.column("doc_id")
             for row, ids, per in encode_column(batch.column("text"), path, end_id):
                 total = np.diff(per)
@@ -182,7 +189,7 @@ def pack(docs: DataFrame, tokenizer: str, end_id: int = 2, length: int = 4096, g
     ``keep_ids`` adds the piece's ids as little-endian unsigned 32-bit ``ids``."""
     more = ", ids binary" if keep_ids else ""
     pieces = cut(
-        docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(
+        ta.whole_texts(docs).select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(
             lambda it: _pieces(it, tokenizer, end_id, length, keep_ids), f"{_SCHEMA}, deal long{more}"
         ),
         "pieces",

@@ -68,7 +68,8 @@ def encode(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     low = ta._BYTE[raw] >> np.uint64(33)
     if len(raw) > 2:
         tri = (low[:-2] * np.uint64(31) + low[1:-1] * np.uint64(17) + low[2:]) % np.uint64(_TRI)
-        out[:, 64 : 64 + _TRI] = np.bincount(passage[:-2] * _TRI + tri.astype(np.int64), minlength=total * _TRI).reshape(total, _TRI)
+        own = row_of[:-2] == row_of[2:]
+        out[:, 64 : 64 + _TRI] = np.bincount((passage[:-2] * _TRI + tri.astype(np.int64))[own], minlength=total * _TRI).reshape(total, _TRI)
     h = ta.word_hashes(raw, start, end)
     k = 64 + _TRI
     words_in = np.maximum(1, np.bincount(of_word, minlength=total)).astype(np.float32)
@@ -183,7 +184,7 @@ def train(docs: DataFrame, labels: DataFrame, max_train: int = 4000) -> GatedBag
         .orderBy(F.xxhash64("doc_id"), "doc_id")
         .limit(max_train)
     )
-    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").join(F.broadcast(sample), "doc_id").select("quality", "text")
+    rows = ta.whole_texts(docs).select(F.col("doc_id").cast("long").alias("doc_id"), "text").join(F.broadcast(sample), "doc_id").select("quality", "text")
     got = rows.mapInArrow(_features, "quality int, x binary").toPandas()
     if got["quality"].nunique() < 2:
         return model
@@ -204,7 +205,7 @@ def score(docs: DataFrame, model: GatedBags, threshold: float = 0.3) -> DataFram
                     names=["doc_id", "held_out", "score", "predicted"],
                 )
 
-    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), held_out().alias("held_out"), "text")
+    rows = ta.whole_texts(docs).select(F.col("doc_id").cast("long").alias("doc_id"), held_out().alias("held_out"), "text")
     return rows.mapInArrow(run, "doc_id long, held_out boolean, score double, predicted int")
 
 
@@ -217,4 +218,4 @@ def keep_good(docs: DataFrame, model: GatedBags, threshold: float = 0.3) -> Data
                 y = model.score(*encode(batch.column("text")))
                 yield batch.filter(pa.array(y >= threshold))
 
-    return docs.mapInArrow(run, docs.schema)
+    return ta.whole_texts(docs).mapInArrow(run, docs.schema)

@@ -12,7 +12,25 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
+from pyspark.sql import DataFrame
 
+
+
+def _give_back() -> None:
+    """Let freed large arrays return to the system at once: workers live on between tasks,
+    and what the allocator kept would add up to the executor's memory."""
+    import ctypes
+
+    libc = ctypes.CDLL(None)
+    if hasattr(libc, "mallopt"):
+        libc.mallopt(-3, 1 << 20)  # M_MMAP_THRESHOLD
+        libc.mallopt(-1, 1 << 20)  # M_TRIM_THRESHOLD
+        libc.mallopt(-8, 2)  # M_ARENA_MAX
+    pa.set_memory_pool(pa.system_memory_pool())
+
+
+_give_back()
 _rng = np.random.default_rng(20240607)
 #: A random odd 64-bit value per byte after lower-casing.
 _BYTE = _rng.integers(0, 2**63, 256, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
@@ -24,7 +42,15 @@ _SPACE[[32, 9, 10, 11, 12, 13]] = True
 _POW: dict[str, np.ndarray] = {}
 #: Weights of the five words of a shingle.
 _PLACE = _rng.integers(0, 2**63, 8, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
-CHUNK_BYTES = 4 << 20
+CHUNK_BYTES = 1 << 20
+#: Rows of whole texts that Spark hands to Python at once.
+BATCH_ROWS = 4000
+
+
+def whole_texts(df: DataFrame) -> DataFrame:
+    """``df`` in Arrow batches of a bounded number of texts (a setting of the running session)."""
+    df.sparkSession.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", BATCH_ROWS)
+    return df
 
 
 def mix(x: np.ndarray) -> np.ndarray:
@@ -64,7 +90,8 @@ def text_bytes(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
 
 def slices(batch: pa.RecordBatch, column: str, limit: int = CHUNK_BYTES) -> Iterator[pa.RecordBatch]:
     """The batch in pieces of about ``limit`` text bytes, a row never split."""
-    _, offs = text_bytes(batch.column(column))
+    sizes = pc.binary_length(batch.column(column)).fill_null(0).to_numpy(zero_copy_only=False)
+    offs = np.concatenate([[0], np.cumsum(sizes, dtype=np.int64)])
     start = 0
     while start < batch.num_rows:
         stop = int(np.searchsorted(offs, offs[start] + limit, "right")) - 1
