@@ -250,13 +250,14 @@ def _id_runs(batches: Iterator[pa.RecordBatch], limit: int = 1_000_000) -> Itera
 
 
 def _pair_keys(ids: np.ndarray, at: np.ndarray, model: Model) -> tuple[np.ndarray, np.ndarray]:
-    """(context * (V + 1) + word, whether both are known) of each token."""
+    """(context * (V + 1) + word, whether the context is known) of each token.
+
+    An unknown word stands as V, which no pair has: looked up, it gives its context's back-off weight."""
     v = np.uint64(model.vocabulary)
     before = np.empty(len(ids), np.uint64)
     before[1:] = ids[:-1]
     before[at[:-1]] = v
-    known = (ids != NONE) & (before != NONE)
-    return before * (v + np.uint64(1)) + ids, known
+    return before * (v + np.uint64(1)) + np.where(ids == NONE, v, ids.astype(np.uint64)), before != NONE
 
 
 def _count_pairs(batches: Iterator[pa.RecordBatch], model: Model) -> Iterator[pa.RecordBatch]:
@@ -421,7 +422,7 @@ def score(encoded: DataFrame, model: Model) -> DataFrame:
 
 def score_documents(docs: DataFrame) -> DataFrame:
     """(doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score) of each row of docs(doc_id, text)."""
-    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text", learns().alias("learns"))
+    rows = ta.whole_texts(docs).select(F.col("doc_id").cast("long").alias("doc_id"), "text", learns().alias("learns"))
     model, encoded = train(rows)
     out = cut(score(encoded, model), "scored")
     drop_cut(encoded)

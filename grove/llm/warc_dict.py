@@ -199,7 +199,11 @@ def read_archives(records: DataFrame, folder: str) -> DataFrame:
     archives that ``records`` names; html is null for revisits."""
     spark = records.sparkSession
     named = cut(records.select("archive").distinct(), "archives")
-    if named.count() <= MANY_ARCHIVES:  # names of 41 bytes
+    schema = "page_id long, url string, record_type string, refers_to long, payload_bytes long, payload_digest string, html string"
+    how_many = named.count()
+    if how_many == 0:
+        return spark.createDataFrame([], schema)
+    if how_many <= MANY_ARCHIVES:  # names of 41 bytes
         named = F.broadcast(named)
     files = spark.read.format("binaryFile").option("pathGlobFilter", "*.warc.zst").load(folder).select(F.element_at(F.split("path", "/"), -1).alias("archive"), "content")
 
@@ -236,9 +240,7 @@ def read_archives(records: DataFrame, folder: str) -> DataFrame:
         cols[6] = [None if x is None else x.decode() for x in cols[6]]
         return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, types, strict=True)], names=names)
 
-    return files.join(named, "archive", "left_semi").select("content").mapInArrow(
-        run, "page_id long, url string, record_type string, refers_to long, payload_bytes long, payload_digest string, html string"
-    )
+    return files.join(named, "archive", "left_semi").select("content").mapInArrow(run, schema)
 
 
 def round_trip(pages: DataFrame) -> DataFrame:
