@@ -9,12 +9,13 @@ are dropped everywhere but in the text that has it first (least id).
 
 Prose that only shares a beginning is left alone: wildcards from rarity are allowed
 in at most a quarter of a line's words, and only in lines of at least ``wild_words``.
+So are rows of numbers: at least half of a template's words must be real ones.
 
 Only DataFrame functions run. Texts that are equal count as one document, so copies
-of a page keep their lines; that is another operator's work. What is shuffled by
-branch is one row per line; only lines under recurring branches go on, so nothing
-is grouped that a hot line could make unbounded (counts are combined before the
-shuffle, hot joins can be split).
+of a page keep their lines; that is another operator's work. The first pass shuffles
+a hash and a digest per line, no text; only lines under recurring branches carry
+their words on. Counts are combined before a shuffle and hot joins can be split, so
+no task holds all lines of a hot template.
 
 Defined results: null and empty texts have no lines and stay; lines of fewer than
 ``depth`` words are never dropped; order and separators of kept lines are unchanged.
@@ -25,51 +26,77 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from grove.session import cut
+from grove.session import cut, drop_cut
 
 WILD = "<*>"
 SPACE = "[\\x20\\x09-\\x0D]+"
+#: A word with a digit, entered at its first sign only.
+_DIGIT_WORD = "(?<![^ ])[^ 0-9]*+[0-9][^ ]*+"
+#: Up to so many rows of a side are broadcast; beyond it the join is a shuffle.
+BROADCAST_ROWS = 2_000_000
 
 
-def words_of(line: Column) -> Column:
-    """The line's words, those with a digit as the wildcard."""
-    plain = F.array_remove(F.split(line, SPACE), "")
-    return F.when(line.rlike("[0-9]"), F.transform(plain, lambda w: F.when(w.rlike("[0-9]"), F.lit(WILD)).otherwise(w))).otherwise(plain)
+def _spaced(line: Column) -> Column:
+    """The line's words with one space between; most lines are so already and only looked at."""
+    odd = F.lit(False)
+    for c in ("  ", "\t", "\x0b", "\x0c", "\r"):
+        odd = odd | line.contains(c)
+    return F.when(odd | line.startswith(" ") | line.endswith(" "), F.trim(F.regexp_replace(line, SPACE, " "))).otherwise(line)
 
 
-def recurring_lines(docs: DataFrame, depth: int = 3, min_docs: int = 3, wild_words: int = 8) -> DataFrame:
-    """(digest, drops): for each text with lines to drop, their positions (from 0).
+def _masked(words: Column) -> Column:
+    """Words with a digit become the wildcard."""
+    return F.when(words.rlike("[0-9]"), F.regexp_replace(words, _DIGIT_WORD, WILD)).otherwise(words)
 
-    ``docs`` has doc_id and text; digest is the md5 of the text."""
-    lines = docs.where("text is not null").select(
+
+def _lines(docs: DataFrame, depth: int) -> DataFrame:
+    """(id, digest, pos, branch, words): every line of at least ``depth`` words."""
+    split = docs.where("text is not null").select(
         F.coalesce(F.col("doc_id").cast("long"), F.lit(2**63 - 1)).alias("id"), F.md5("text").alias("digest"), F.posexplode(F.split("text", "\n")).alias("pos", "line")
     )
-    walked = (
-        lines.withColumn("w", words_of(F.col("line")))
-        .where(F.size("w") >= depth)
-        .select("id", "digest", "pos", F.size("w").alias("n"), F.xxhash64(F.size("w"), *[F.get("w", F.lit(k)) for k in range(depth)]).alias("branch"), "w")
+    words = split.select("id", "digest", "pos", _spaced(F.col("line")).alias("words"))
+    n = F.octet_length("words") - F.octet_length(F.replace("words", F.lit(" "), F.lit(""))) + 1
+    return (
+        words.select("*", n.alias("n")).where((F.col("n") >= depth) & (F.col("words") != ""))
+        .select("id", "digest", "pos", "words", F.xxhash64("n", _masked(F.substring_index("words", " ", depth))).alias("branch"))
     )
-    reached = walked.select("branch", "digest").distinct().groupBy("branch").agg(F.count("*").alias("texts")).where(F.col("texts") >= min_docs).select("branch")
-    under = cut(
-        walked.select("id", "digest", "pos", "branch", F.array_join("w", " ").alias("shape")).join(reached, "branch"), "branches"
+
+
+def _small(df: DataFrame) -> DataFrame:
+    """With a hint to broadcast, if counted to be small."""
+    return F.broadcast(df) if df.count() <= BROADCAST_ROWS else df
+
+
+def recurring_lines(docs: DataFrame, depth: int = 3, min_docs: int = 3, wild_words: int = 8) -> DataFrame:
+    """(digest, drops): for each text with lines to drop, their positions (from 0).
+
+    ``docs`` has doc_id and text; digest is the md5 of the text."""
+    lines = _lines(docs, depth)
+    reached = cut(lines.select("branch", "digest").distinct().groupBy("branch").agg(F.count("*").alias("texts")).where(F.col("texts") >= min_docs).select("branch"), "reached")
+    shaped = lines.join(_small(reached), "branch").select("id", "digest", "pos", "branch", _masked(F.col("words")).alias("shape"))
+    under = cut(shaped.withColumn("key", F.xxhash64("shape")), "branches")
+    shapes = (
+        under.select("branch", "key", "digest").distinct().groupBy("branch", "key").agg(F.count("*").alias("texts"))
+        .join(under.select("branch", "key", "shape").dropDuplicates(["branch", "key"]), ["branch", "key"])
     )
-    shapes = under.select("branch", "shape", "digest").distinct().groupBy("branch", "shape").agg(F.count("*").alias("texts"))
-    spread = shapes.select("branch", "shape", "texts", F.posexplode(F.split("shape", " ")).alias("at", "word"))
+    # a row per word carries its shape's key, not its text: else a line would cost the square of its length
+    spread = cut(shapes.select("branch", "key", "texts", F.posexplode(F.split("shape", " ")).alias("at", "word")), "words")
     support = spread.groupBy("branch", "at", "word").agg(F.sum("texts").alias("support")).where(F.col("support") >= min_docs).select("branch", "at", "word", F.lit(True).alias("constant"))
     template = (
-        spread.join(support, ["branch", "at", "word"], "left")
-        .groupBy("branch", "shape")
+        spread.drop("texts").join(support, ["branch", "at", "word"], "left")
+        .groupBy("branch", "key")
         .agg(
             F.count("*").alias("n"),
             F.count("constant").alias("held"),
+            F.count(F.when(F.col("constant") & (F.col("word") != WILD), 1)).alias("real"),
             F.array_join(
                 F.transform(F.array_sort(F.collect_list(F.struct("at", F.when(F.col("constant"), F.col("word")).otherwise(WILD).alias("word")))), lambda x: x["word"]), " "
             ).alias("template"),
         )
-        .where((F.col("held") == F.col("n")) | ((F.col("n") >= wild_words) & (4 * F.col("held") >= 3 * F.col("n"))))
-        .select("branch", "shape", "template")
+        .where((2 * F.col("real") >= F.col("n")) & ((F.col("held") == F.col("n")) | ((F.col("n") >= wild_words) & (4 * F.col("held") >= 3 * F.col("n")))))
+        .select("branch", "key", F.md5("template").alias("template"))
     )
-    matched = cut(under.join(template, ["branch", "shape"]).select("branch", "template", "digest", "id", "pos"), "matched")
+    matched = cut(under.drop("shape").join(template, ["branch", "key"]).select("branch", "template", "digest", "id", "pos"), "matched")
     recurs = (
         matched.groupBy("branch", "template", "digest")
         .agg(F.min("id").alias("id"))
@@ -78,13 +105,17 @@ def recurring_lines(docs: DataFrame, depth: int = 3, min_docs: int = 3, wild_wor
         .where(F.col("texts") >= min_docs)
         .select("branch", "template", F.col("first.digest").alias("first"))
     )
-    return matched.join(recurs, ["branch", "template"]).where(F.col("digest") != F.col("first")).groupBy("digest").agg(F.collect_set("pos").alias("drops"))
+    out = cut(matched.join(recurs, ["branch", "template"]).where(F.col("digest") != F.col("first")).groupBy("digest").agg(F.collect_set("pos").alias("drops")), "drops")
+    for done in (reached, under, spread, matched):
+        drop_cut(done)
+    return out
 
 
 def drop_recurring(docs: DataFrame, depth: int = 3, min_docs: int = 3, wild_words: int = 8) -> DataFrame:
     """``docs`` with all its columns, recurring lines taken out of ``text``; beside them
     ``_n_lines`` and ``_n_dropped``. No row is dropped, a text may become empty."""
-    drops = recurring_lines(docs, depth, min_docs, wild_words).withColumnsRenamed({"digest": "_digest", "drops": "_drops"})
+    found = recurring_lines(docs, depth, min_docs, wild_words)
+    drops = _small(found.withColumnsRenamed({"digest": "_digest", "drops": "_drops"}))
     joined = docs.withColumn("_digest", F.md5("text")).join(drops, "_digest", "left")
     lines = F.split("text", "\n")
     flags = F.transform(F.sequence(F.lit(0), F.size(lines) - 1), lambda i: F.array_contains("_drops", i))

@@ -84,7 +84,7 @@ spread as (select n, a, b, c, shape, texts, unnest(range(0, len(w))) as ofs, unn
 support as (select n, a, b, c, ofs, word from spread group by n, a, b, c, ofs, word having sum(texts) >= 3),
 template as (select s.n, s.a, s.b, s.c, s.shape, count(p.word) as held, string_agg(coalesce(p.word, '<*>'), ' ' order by s.ofs) as template
   from spread s left join support p on s.n = p.n and s.a = p.a and s.b = p.b and s.c = p.c and s.ofs = p.ofs and s.word = p.word
-  group by s.n, s.a, s.b, s.c, s.shape having count(p.word) = s.n or (s.n >= 8 and 4 * count(p.word) >= 3 * s.n)),
+  group by s.n, s.a, s.b, s.c, s.shape having 2 * count(p.word) filter (p.word <> '<*>') >= s.n and (count(p.word) = s.n or (s.n >= 8 and 4 * count(p.word) >= 3 * s.n))),
 matched as (select n, a, b, c, template, digest, id, pos from u join template using (n, a, b, c, shape)),
 recurs as (select n, a, b, c, template, min(struct_pack(id := id, digest := digest)) as first from matched group by n, a, b, c, template having count(distinct digest) >= 3),
 drops as (select digest, list(distinct pos) as drops from matched join recurs using (n, a, b, c, template) where digest <> first.digest group by digest)
