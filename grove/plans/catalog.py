@@ -312,7 +312,7 @@ def queries_with_sql() -> dict[str, tuple[Callable, str | None]]:
         if name != "inspace_gather":
             q[f"{name}_G1"] = (labels_of(run, "G1"), twins)
     q["gather_dispatch_F2"] = (labels_of(lambda g: gather(g, "auto"), "F2"), f"with {_both('F2')} select v, case when v < 0 then v else (select parent from p where p.v = n.v) end as leader from n")
-    q["component_of_F3"] = (lambda s, d: component_of(forest(s, d, "F3"), 8), "select event_id as v, min(event_id) over (partition by user_id) as leader from events")
+    q["component_of_F8"] = (lambda s, d: component_of(forest(s, d, "F8"), 8), turn_labels)
     q["inspace_gather_F1"] = (labels_of(lambda g: inspace_gather(g, 10, 50), "F1"), f"with {_both('F1')} select v, 0::bigint as leader from n")
     q["clique_rounds"] = (clique_rounds, "select cast(ceil(log2(max(n - 1))) + 1 as bigint) as rounds from (select count(*) as n from conversations group by conv_id)")
     q["clique_growth_cert"] = (clique_growth, "select 0::bigint as over_k3, 0::bigint as over_pairs, cast(sum(n * (n - 1) // 2) as bigint) as pairs, cast(sum(n * (n - 1) // 2) as bigint) as tree_and_made from (select count(*) as n from conversations group by conv_id)")
