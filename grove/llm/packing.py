@@ -30,6 +30,8 @@ from grove.llm import text_arrays as ta
 from grove.session import cut
 
 _MARK = "\x01"
+#: Text that shares one table of distinct words.
+BLOCK_BYTES = 32 << 20
 _LOADED: dict[str, tuple] = {}
 
 
@@ -55,6 +57,11 @@ def _load(path: str):
     return loaded
 
 
+def _narrow(path: str, end_id: int) -> str:
+    """The type ids travel in: 16 bits if the vocabulary fits."""
+    return "<u2" if max(end_id, _tokenizer(path)[0].get_vocab_size()) <= 1 << 16 else "<u4"
+
+
 def word_ids(words: list[str], path: str) -> tuple[np.ndarray, np.ndarray]:
     """(ids of all words in a row, number of ids of each)."""
     bare, mark = _tokenizer(path)
@@ -86,9 +93,10 @@ def encode_column(column: pa.Array, path: str, end_id: int | None) -> Iterator[t
     """(first row, ids, offsets) for consecutive runs of rows."""
     lists = pc.ascii_split_whitespace(column.cast(pa.large_string()).fill_null(""))
     coded = lists.flatten().dictionary_encode()
-    ids, sizes = word_ids(coded.dictionary.to_pylist(), path)
+    low = pc.ascii_lower(coded.dictionary).dictionary_encode()  # the tokenizer lower-cases
+    ids, sizes = word_ids(low.dictionary.to_pylist(), path)
     begin = np.concatenate([[0], np.cumsum(sizes)[:-1]]) if len(sizes) else np.zeros(0, np.int64)
-    code = coded.indices.to_numpy(zero_copy_only=False)
+    code = low.indices.to_numpy(zero_copy_only=False)[coded.indices.to_numpy(zero_copy_only=False)]
     offs = lists.offsets.to_numpy() - lists.offsets[0].as_py() if len(lists) else np.zeros(1, np.int64)
     row = 0
     while row < len(lists):
@@ -107,10 +115,24 @@ def encode_column(column: pa.Array, path: str, end_id: int | None) -> Iterator[t
         row = stop
 
 
+def _merged(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Batches put together up to a block's size: the more text, the fewer distinct words in all."""
+    held: list[pa.RecordBatch] = []
+    size = 0
+    for b in batches:
+        held.append(b)
+        size += b.column("text").nbytes
+        if size >= BLOCK_BYTES * 3 // 4:
+            yield from pa.Table.from_batches(held).combine_chunks().to_batches()
+            held, size = [], 0
+    if held:
+        yield from pa.Table.from_batches(held).combine_chunks().to_batches()
+
+
 def _pieces(batches: Iterator[pa.RecordBatch], path: str, end_id: int, length: int, keep_ids: bool) -> Iterator[pa.RecordBatch]:
-    seen = 0
-    for whole in batches:
-        for batch in ta.slices(whole, "text", 16 << 20):
+    seen, narrow = 0, _narrow(path, end_id)
+    for whole in _merged(batches):
+        for batch in ta.slices(whole, "text", BLOCK_BYTES):
             doc = batch.column("doc_id")
             for row, ids, per in encode_column(batch.column("text"), path, end_id):
                 total = np.diff(per)
@@ -132,7 +154,9 @@ def _pieces(batches: Iterator[pa.RecordBatch], path: str, end_id: int, length: i
                     "deal": pa.array(deal.view(np.int64)),
                 }
                 if keep_ids:
-                    cols["ids"] = pa.array([bytes(s) for s in spans], pa.binary())
+                    kept = memoryview(ids.astype(narrow).tobytes())
+                    w = np.dtype(narrow).itemsize
+                    cols["ids"] = pa.array([bytes(kept[w * a : w * (a + n)]) for a, n in zip((per[owner] + start).tolist(), size.tolist(), strict=True)], pa.binary())
                 yield pa.RecordBatch.from_pydict(cols)
 
 
@@ -170,11 +194,14 @@ def first_fit_decreasing(sizes: np.ndarray, capacity: int) -> tuple[np.ndarray,
     return where, offset
 
 
-def _pack_group(t: pa.Table, capacity: int) -> pa.Table:
+def _pack_group(t: pa.Table, capacity: int, narrow: str) -> pa.Table:
     order = pc.sort_indices(t, [("length", "descending"), ("doc_id", "ascending"), ("start", "ascending"), ("deal", "ascending")])
     t = t.take(order)
     where, offset = first_fit_decreasing(t.column("length").to_numpy(), capacity)
     first = t.column("grp")[0].as_py() << 24
+    if "ids" in t.column_names:
+        wide = [np.frombuffer(x, narrow).astype("<u4").tobytes() for x in t.column("ids").to_pylist()]
+        t = t.set_column(t.column_names.index("ids"), "ids", pa.array(wide, pa.binary()))
     keep = [c for c in t.column_names if c not in ("grp", "deal")]
     return t.select(keep).append_column("sequence_id", pa.array(first + where)).append_column("offset", pa.array(offset))
 
@@ -187,7 +214,7 @@ def pack(docs: DataFrame, tokenizer: str, end_id: int = 2, length: int = 4096, g
     document, how long it is, and in which sequence at which offset it lies.
 
     ``keep_ids`` adds the piece's ids as little-endian unsigned 32-bit ``ids``."""
-    more = ", ids binary" if keep_ids else ""
+    more, narrow = (", ids binary", _narrow(tokenizer, end_id)) if keep_ids else ("", "<u4")
     pieces = cut(
         ta.whole_texts(docs).select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(
             lambda it: _pieces(it, tokenizer, end_id, length, keep_ids), f"{_SCHEMA}, deal long{more}"
@@ -196,7 +223,7 @@ def pack(docs: DataFrame, tokenizer: str, end_id: int = 2, length: int = 4096, g
     )
     groups = max(1, -(-pieces.count() // group))
     dealt = pieces.withColumn("grp", F.pmod("deal", F.lit(groups)))
-    return dealt.groupBy("grp").applyInArrow(lambda t: _pack_group(t, length), f"{_SCHEMA}{more}, sequence_id long, offset long")
+    return dealt.groupBy("grp").applyInArrow(lambda t: _pack_group(t, length, narrow), f"{_SCHEMA}{more}, sequence_id long, offset long")
 
 
 def sequences(packed: DataFrame, length: int = 4096, pad_id: int = 0) -> DataFrame:
