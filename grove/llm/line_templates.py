@@ -32,8 +32,8 @@ WILD = "<*>"
 SPACE = "[\\x20\\x09-\\x0D]+"
 #: A word with a digit, entered at its first sign only.
 _DIGIT_WORD = "(?<![^ ])[^ 0-9]*+[0-9][^ ]*+"
-#: Up to so many rows of a side are broadcast; beyond it the join is a shuffle.
-BROADCAST_ROWS = 2_000_000
+#: Up to so many numbers of a side are broadcast; beyond it the join is a shuffle.
+BROADCAST_NUMBERS = 2_000_000
 
 
 def _spaced(line: Column) -> Column:
@@ -62,9 +62,10 @@ def _lines(docs: DataFrame, depth: int) -> DataFrame:
     )
 
 
-def _small(df: DataFrame) -> DataFrame:
-    """With a hint to broadcast, if counted to be small."""
-    return F.broadcast(df) if df.count() <= BROADCAST_ROWS else df
+def _small(df: DataFrame, numbers: Column) -> DataFrame:
+    """With a hint to broadcast, if its rows hold few numbers in all, counted first."""
+    held = df.agg(F.sum(numbers)).first()[0] or 0
+    return F.broadcast(df) if held <= BROADCAST_NUMBERS else df
 
 
 def recurring_lines(docs: DataFrame, depth: int = 3, min_docs: int = 3, wild_words: int = 8) -> DataFrame:
@@ -73,7 +74,7 @@ def recurring_lines(docs: DataFrame, depth: int = 3, min_docs: int = 3, wild_wor
     ``docs`` has doc_id and text; digest is the md5 of the text."""
     lines = _lines(docs, depth)
     reached = cut(lines.select("branch", "digest").distinct().groupBy("branch").agg(F.count("*").alias("texts")).where(F.col("texts") >= min_docs).select("branch"), "reached")
-    shaped = lines.join(_small(reached), "branch").select("id", "digest", "pos", "branch", _masked(F.col("words")).alias("shape"))
+    shaped = lines.join(_small(reached, F.lit(1)), "branch").select("id", "digest", "pos", "branch", _masked(F.col("words")).alias("shape"))
     under = cut(shaped.withColumn("key", F.xxhash64("shape")), "branches")
     shapes = (
         under.select("branch", "key", "digest").distinct().groupBy("branch", "key").agg(F.count("*").alias("texts"))
@@ -115,7 +116,7 @@ def drop_recurring(docs: DataFrame, depth: int = 3, min_docs: int = 3, wild_word
     """``docs`` with all its columns, recurring lines taken out of ``text``; beside them
     ``_n_lines`` and ``_n_dropped``. No row is dropped, a text may become empty."""
     found = recurring_lines(docs, depth, min_docs, wild_words)
-    drops = _small(found.withColumnsRenamed({"digest": "_digest", "drops": "_drops"}))
+    drops = _small(found.withColumnsRenamed({"digest": "_digest", "drops": "_drops"}), 8 + F.size("_drops"))
     joined = docs.withColumn("_digest", F.md5("text")).join(drops, "_digest", "left")
     lines = F.split("text", "\n")
     flags = F.transform(F.sequence(F.lit(0), F.size(lines) - 1), lambda i: F.array_contains("_drops", i))
