@@ -22,7 +22,7 @@ def drop_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Recurring line templates are taken out of the texts; ``n_chars`` follows."""
     from pyspark.sql import functions as F
 
-    out = line_templates.drop_recurring(docs).drop("_n_lines", "_n_dropped")
+    out = line_templates.drop_recurring(docs, short=True).drop("_n_lines", "_n_dropped")
     return out.withColumn("n_chars", F.when(F.col("text").isNull(), F.col("n_chars")).otherwise(F.length("text").cast(docs.schema["n_chars"].dataType))) if "n_chars" in docs.columns else out
 
 

@@ -17,8 +17,12 @@ a hash and a digest per line, no text; only lines under recurring branches carry
 their words on. Counts are combined before a shuffle and hot joins can be split, so
 no task holds all lines of a hot template.
 
-Defined results: null and empty texts have no lines and stay; lines of fewer than
-``depth`` words are never dropped; order and separators of kept lines are unchanged.
+Lines of fewer than ``depth`` words have no tree to walk. With ``short`` they recur by
+their exact words, digits included, under the same ``min_docs``; without it they stay,
+as the SQL of ``op9_line_templates`` has it.
+
+Defined results: null and empty texts have no lines and stay; lines without a word are
+never dropped; order and separators of kept lines are unchanged.
 """
 
 from __future__ import annotations
@@ -49,17 +53,27 @@ def _masked(words: Column) -> Column:
     return F.when(words.rlike("[0-9]"), F.regexp_replace(words, _DIGIT_WORD, WILD)).otherwise(words)
 
 
-def _lines(docs: DataFrame, depth: int) -> DataFrame:
-    """(id, digest, pos, branch, words): every line of at least ``depth`` words."""
+def _lines(docs: DataFrame) -> DataFrame:
+    """(id, digest, pos, words, n): every line that has a word."""
     split = docs.where("text is not null").select(
         F.coalesce(F.col("doc_id").cast("long"), F.lit(2**63 - 1)).alias("id"), F.md5("text").alias("digest"), F.posexplode(F.split("text", "\n")).alias("pos", "line")
     )
     words = split.select("id", "digest", "pos", _spaced(F.col("line")).alias("words"))
     n = F.octet_length("words") - F.octet_length(F.replace("words", F.lit(" "), F.lit(""))) + 1
-    return (
-        words.select("*", n.alias("n")).where((F.col("n") >= depth) & (F.col("words") != ""))
-        .select("id", "digest", "pos", "words", F.xxhash64("n", _masked(F.substring_index("words", " ", depth))).alias("branch"))
-    )
+    return words.select("*", n.alias("n")).where(F.col("words") != "")
+
+
+def _deep(lines: DataFrame, depth: int) -> DataFrame:
+    """(id, digest, pos, words, branch): the lines of at least ``depth`` words."""
+    return lines.where(F.col("n") >= depth).select("id", "digest", "pos", "words", F.xxhash64("n", _masked(F.substring_index("words", " ", depth))).alias("branch"))
+
+
+def _short(lines: DataFrame, depth: int, min_docs: int) -> DataFrame:
+    """(branch, template, digest, id, pos): shorter lines whose exact words ``min_docs`` texts have."""
+    few = lines.where(F.col("n") < depth).select("id", "digest", "pos", F.xxhash64("n", "words").alias("branch"), F.md5("words").alias("template"))
+    held = few.select("branch", "template", "digest").distinct().groupBy("branch", "template").agg(F.count("*").alias("texts")).where(F.col("texts") >= min_docs)
+    common = cut(held.select("branch", "template"), "short")
+    return few.join(_small(common, F.lit(2)), ["branch", "template"]).select("branch", "template", "digest", "id", "pos")
 
 
 def _small(df: DataFrame, numbers: Column) -> DataFrame:
@@ -68,11 +82,12 @@ def _small(df: DataFrame, numbers: Column) -> DataFrame:
     return F.broadcast(df) if held <= BROADCAST_NUMBERS else df
 
 
-def recurring_lines(docs: DataFrame, depth: int = 3, min_docs: int = 3, wild_words: int = 8) -> DataFrame:
+def recurring_lines(docs: DataFrame, depth: int = 3, min_docs: int = 3, wild_words: int = 8, short: bool = False) -> DataFrame:
     """(digest, drops): for each text with lines to drop, their positions (from 0).
 
     ``docs`` has doc_id and text; digest is the md5 of the text."""
-    lines = _lines(docs, depth)
+    every = _lines(docs)
+    lines = _deep(every, depth)
     reached = cut(lines.select("branch", "digest").distinct().groupBy("branch").agg(F.count("*").alias("texts")).where(F.col("texts") >= min_docs).select("branch"), "reached")
     shaped = lines.join(_small(reached, F.lit(1)), "branch").select("id", "digest", "pos", "branch", _masked(F.col("words")).alias("shape"))
     under = cut(shaped.withColumn("key", F.xxhash64("shape")), "branches")
@@ -97,7 +112,8 @@ def recurring_lines(docs: DataFrame, depth: int = 3, min_docs: int = 3, wild_wor
         .where((2 * F.col("real") >= F.col("n")) & ((F.col("held") == F.col("n")) | ((F.col("n") >= wild_words) & (4 * F.col("held") >= 3 * F.col("n")))))
         .select("branch", "key", F.md5("template").alias("template"))
     )
-    matched = cut(under.drop("shape").join(template, ["branch", "key"]).select("branch", "template", "digest", "id", "pos"), "matched")
+    found = under.drop("shape").join(template, ["branch", "key"]).select("branch", "template", "digest", "id", "pos")
+    matched = cut(found.unionByName(_short(every, depth, min_docs)) if short else found, "matched")
     recurs = (
         matched.groupBy("branch", "template", "digest")
         .agg(F.min("id").alias("id"))
@@ -112,10 +128,10 @@ def recurring_lines(docs: DataFrame, depth: int = 3, min_docs: int = 3, wild_wor
     return out
 
 
-def drop_recurring(docs: DataFrame, depth: int = 3, min_docs: int = 3, wild_words: int = 8) -> DataFrame:
+def drop_recurring(docs: DataFrame, depth: int = 3, min_docs: int = 3, wild_words: int = 8, short: bool = False) -> DataFrame:
     """``docs`` with all its columns, recurring lines taken out of ``text``; beside them
     ``_n_lines`` and ``_n_dropped``. No row is dropped, a text may become empty."""
-    found = recurring_lines(docs, depth, min_docs, wild_words)
+    found = recurring_lines(docs, depth, min_docs, wild_words, short)
     drops = _small(found.withColumnsRenamed({"digest": "_digest", "drops": "_drops"}), 8 + F.size("_drops"))
     joined = docs.withColumn("_digest", F.md5("text")).join(drops, "_digest", "left")
     lines = F.split("text", "\n")

@@ -53,11 +53,19 @@ def op8_minmax_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
     return minmax.near_duplicates(table(spark, sf_dir, "documents"), percent=85, width=5)
 
 
-def op9_line_templates(spark: SparkSession, sf_dir: str) -> DataFrame:
-    out = line_templates.drop_recurring(table(spark, sf_dir, "documents"))
+def _line_report(out: DataFrame) -> DataFrame:
     return out.select("doc_id", F.col("_n_lines").alias("n_lines"), F.col("_n_dropped").alias("n_dropped"), F.md5("text").alias("text_md5"))
 
 
+def op9_line_templates(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return _line_report(line_templates.drop_recurring(table(spark, sf_dir, "documents")))
+
+
+def op9_line_templates_short(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Short lines too; the SQL of ``op9_line_templates`` leaves them."""
+    return _line_report(line_templates.drop_recurring(table(spark, sf_dir, "documents"), short=True))
+
+
 def op10_trie_language_model(spark: SparkSession, sf_dir: str) -> DataFrame:
     return ngram_model.score_documents(table(spark, sf_dir, "documents"))
 
