@@ -13,6 +13,7 @@ from pyspark.sql import functions as F
 from grove.operators import baselines as bl
 from grove.operators.clique import clique_gather
 from grove.operators.degree import neighbour_independence, reduce_degree, sample_nodes, sampled_components
+from grove.operators.extras import diameters
 from grove.operators.gather import pack_components
 from grove.operators.graph import Forest, component_labels, max_degree
 from grove.operators.labels import contract_labels, flood_labels, minset_labels
@@ -23,7 +24,7 @@ from grove.operators.shatter import shatter
 from grove.operators.verify import certify_mis
 from grove.params import TreeMisParams
 from grove.plans.tree_mis import finish, tree_mis, with_hub_cleanup
-from grove.session import table
+from grove.session import cut, table
 from grove.sources import forests as fs
 
 SCHEMA = "workload string, case string, measure string, value double"
@@ -45,7 +46,7 @@ def _measured(name: str, case: str, g: Forest, run) -> list[tuple]:
     return [(name, case, m, v) for m, v in (("rounds", ledger.rounds()), ("copies", ledger.copies()), ("size", out.count()), ("inside_edges", c.inside_edges), ("undominated", c.undominated), ("seconds", took))]
 
 
-def w1_end_to_end(s: SparkSession, d: str, forests: tuple[str, ...] = ("F2", "F6")) -> DataFrame:
+def w1_end_to_end(s: SparkSession, d: str, forests: tuple[str, ...] = ("F1", "F2", "F5", "F6", "F7")) -> DataFrame:
     rows = []
     for f in forests:
         g = _forest(s, d, f)
@@ -97,15 +98,22 @@ def w5_copies(s: SparkSession, d: str) -> DataFrame:
     return _frame(s, [("W5", "F8", "clique_copies", a.copies()), ("W5", "F8", "k3", k3), ("W5", "F8", "inspace_copies", b.copies()), ("W5", "F8", "clique_rounds", a.rounds()), ("W5", "F8", "inspace_rounds", b.rounds())])
 
 
-def w6_phases(s: SparkSession, d: str, budgets: tuple[int, ...] = (4, 50)) -> DataFrame:
-    """Budget sweep of rooting: phases, live nodes, copies and the conserved product."""
-    g, rows = _forest(s, d, "F4" if "0.001" in d else "F5"), []
-    n0 = g.nodes.count()
-    for b in budgets:
-        ledger = RoundLedger()
-        root_forest(g, b, ledger=ledger, strict_budget=True)
-        for i, r in enumerate(ledger.rows):
-            rows += [("W6", f"budget {b} phase {i}", m, v) for m, v in (("live", r[6]), ("budget", r[7]), ("copies", r[8]), ("mass", r[6] * r[7]), ("mass_bound", n0 * b), ("removed", r[9]))]
+#: The forests of the budget sweep; F7 is the binary one.
+SWEPT = {"F4": fs.FORESTS["F4"], "F5": fs.FORESTS["F5"], "F7(2)": lambda s, d: fs.ary_tree(s, d, 2), "F3": fs.FORESTS["F3"]}
+
+
+def w6_phases(s: SparkSession, d: str, budgets: tuple[int, ...] = (2, 8, 64)) -> DataFrame:
+    """Budget sweep of rooting, the cubed diameter last: phases, live nodes, copies and the conserved product."""
+    rows = []
+    for f, parents in SWEPT.items():
+        p = cut(parents(s, d), "parents")
+        g = fs.forest_of(p).cut()
+        n0, far = g.nodes.count(), diameters(p, g).agg(F.max("diameter")).first()[0] or 0
+        for b in dict.fromkeys((*budgets, max(1, far**3))):
+            ledger = RoundLedger()
+            root_forest(g, b, ledger=ledger, strict_budget=True)
+            for i, r in enumerate(ledger.rows):
+                rows += [("W6", f"{f} budget {b} phase {i}", m, v) for m, v in (("live", r[6]), ("budget", r[7]), ("copies", r[8]), ("mass", r[6] * r[7]), ("mass_bound", n0 * b), ("removed", r[9]))]
     return _frame(s, rows)
 
 
@@ -143,12 +151,14 @@ def w10_hub_passes(s: SparkSession, d: str, exponents: tuple[float, ...] = (0.5,
 
 
 def w11_components(s: SparkSession, d: str) -> DataFrame:
-    g = Forest.of(fs.twin_documents(s, d)).cut()
-    want, rows = component_labels(g), []
-    for name, run in (("clique", lambda g, led: clique_gather(g, led)), ("flood", flood_labels), ("minset", minset_labels), ("contract", lambda g, led: contract_labels(g, ledger=led))):
-        ledger = RoundLedger()
-        differ = run(g, ledger).exceptAll(want).count()
-        rows += [("W11", f"G1 {name}", "rounds", ledger.rounds()), ("W11", f"G1 {name}", "differ", differ)]
+    rows = []
+    for f in ("G1", "G2"):
+        g = Forest.of(fs.GRAPHS[f](s, d)).cut()
+        want = component_labels(g)
+        for name, run in (("clique", lambda g, led: clique_gather(g, led)), ("flood", flood_labels), ("minset", minset_labels), ("contract", lambda g, led: contract_labels(g, ledger=led))):
+            ledger = RoundLedger()
+            differ = run(g, ledger).exceptAll(want).count()
+            rows += [("W11", f"{f} {name}", "rounds", ledger.rounds()), ("W11", f"{f} {name}", "differ", differ)]
     return _frame(s, rows)
 
 
@@ -184,7 +194,7 @@ def ablations(s: SparkSession, d: str) -> DataFrame:
     return _frame(s, rows)
 
 
-def success_rate(s: SparkSession, d: str, seeds: int = 5) -> DataFrame:
+def success_rate(s: SparkSession, d: str, seeds: int = 20) -> DataFrame:
     """One reduction over several seeds: how often the degree fell to the floor."""
     g = _forest(s, d, "F6")
     floor, good = TreeMisParams().floor_for(g.nodes.count()), 0

@@ -1,12 +1,13 @@
 """Whole tables and every size: no id subset, no refusal, no missed line or window."""
 
 import collections
+import inspect
 import re
 
 import pandas as pd
 
 from grove.llm import line_templates
-from grove.plans import catalog
+from grove.plans import catalog, workloads
 from grove.session import table
 
 
@@ -41,3 +42,15 @@ def test_short_lines_recur(spark):
             if k in common:
                 left[k].add(t)
     assert len(common) >= 18 and all(len(v) <= 1 for v in left.values())
+
+
+def test_workloads_do_not_depend_on_the_path(spark, sf, monkeypatch, tmp_path):
+    seen = []
+    monkeypatch.setattr(workloads, "root_forest", lambda g, b, **_: seen.append((g.nodes.count(), b)))
+    star = spark.createDataFrame([(0, 0), (1, 0), (2, 0), (3, 2)], "v long, parent long")
+    monkeypatch.setattr(workloads, "SWEPT", dict.fromkeys(workloads.SWEPT, lambda s, d: star))
+    workloads.w6_phases(spark, "/any/sf9")
+    assert list(workloads.SWEPT) == ["F4", "F5", "F7(2)", "F3"]
+    assert seen == [(4, b) for _ in range(4) for b in (2, 8, 64, 27)]
+    took = lambda f, name: inspect.signature(f).parameters[name].default
+    assert took(workloads.w1_end_to_end, "forests") == ("F1", "F2", "F5", "F6", "F7") and took(workloads.success_rate, "seeds") == 20
