@@ -11,12 +11,14 @@ from grove.operators.gather import inspace_roots
 from grove.session import cut
 
 
-def line_graph(g: Forest, most: int = 5_000_000) -> tuple[DataFrame, Forest]:
+def line_graph(g: Forest, most: int = 5_000_000, per_edge: int = 1000) -> tuple[DataFrame, Forest]:
     """(edge ids (e, src, dst), graph on them): edges are adjacent that share an end.
 
-    It has sum of degree^2 edges; refused beyond ``most``."""
-    size = degrees(g).agg(F.sum(F.col("degree") * (F.col("degree") - 1))).first()[0] or 0
-    if size > most:
+    It has sum of degree^2 edges; beyond ``most`` it is refused only where hubs make it more
+    than ``per_edge`` times as large as the graph, however large that is."""
+    size, ends = degrees(g).agg(F.sum(F.col("degree") * (F.col("degree") - 1)), F.sum("degree")).first()
+    size, ends = size or 0, ends or 0
+    if size > max(most, per_edge * ends // 2):
         raise ValueError(f"the line graph has {size} edges")
     named = cut(g.edges.where("src < dst").withColumn("e", F.xxhash64("src", "dst").bitwiseAND(F.lit(2**62 - 1))), "line")
     ends = named.select("e", F.col("src").alias("v")).unionByName(named.select("e", F.col("dst").alias("v")))

@@ -252,6 +252,7 @@ def queries_with_sql() -> dict[str, tuple[Callable, str | None]]:
         q[f"forest_edges_{f}"] = (lambda s, d, f=f: fs.forest_of(fs.FORESTS[f](s, d)).edges, f"with {_both(f)} select src, dst from e")
     for f in EDGES:
         q[f"graph_edges_{f}"] = (lambda s, d, f=f: Forest.of(fs.GRAPHS[f](s, d)).edges, f"with {_both(f)} select src, dst from e")
+    q["graph_edges_G3"] = (lambda s, d: Forest.of(fs.GRAPHS["G3"](s, d)).edges, None)
     for f in ("F1", "F2", "F6", "G2"):
         q[f"degree_histogram_{f}"] = (
             lambda s, d, f=f: degrees(graph(s, d, f) if f in fs.GRAPHS else forest(s, d, f)).groupBy("degree").agg(F.count("*").alias("n")),

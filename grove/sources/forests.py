@@ -5,12 +5,14 @@ from __future__ import annotations
 
 from functools import reduce
 
+import numpy as np
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from grove.operators.graph import Forest
-from grove.session import table
+from grove.session import cut, scratch, table
 
 TAG = 1_000_000_000_000
 
@@ -114,20 +116,63 @@ def url_trie(spark: SparkSession, d: str) -> DataFrame:
     return keys.select(num(F.col("key")).alias("v"), num(F.col("parent_key")).alias("parent")).unionByName(root)
 
 
-def similar_pairs(spark: SparkSession, d: str, most: int = 5000) -> DataFrame:
-    """(a, b, cos) for all a > b of a table checked to have at most ``most`` vectors."""
-    e = table(spark, d, "embeddings").select("vec_id", F.col("embedding").cast("array<double>").alias("x"))
-    if e.count() > most:
-        raise ValueError(f"all pairs of more than {most} vectors")
+def _directions(spark: SparkSession, d: str) -> DataFrame:
+    """(id, x, n): vectors with their length; those without a direction have no neighbours."""
     dot = lambda p, q: F.aggregate(F.zip_with(p, q, lambda a, b: a * b), F.lit(0.0), lambda a, b: a + b)
-    e = e.withColumn("n", F.sqrt(dot("x", "x")))
-    b = e.select(F.col("vec_id").alias("b"), F.col("x").alias("y"), F.col("n").alias("m"))
-    return e.withColumnRenamed("vec_id", "a").join(b, F.col("b") < F.col("a")).select("a", "b", (dot("x", "y") / (F.col("n") * F.col("m"))).alias("cos"))
+    e = table(spark, d, "embeddings").select(F.col("vec_id").cast("long").alias("id"), F.col("embedding").cast("array<double>").alias("x"))
+    return e.select("id", "x", F.sqrt(dot("x", "x")).alias("n")).where("n > 0 and n < double('infinity')")
+
+
+def _best_of(ids: np.ndarray, x: np.ndarray, n: np.ndarray, k: int, earlier: bool, chunk: int = 2048):
+    """For mapInPandas: the ``k`` best rows (a, b, cos) of each part of a batch for every query of a block.
+
+    Products are summed in the order of the coordinates, so equal vectors tie to the last bit."""
+
+    def run(batches):
+        for batch in batches:
+            batch = batch[batch["x"].map(len) == x.shape[1]].sort_values("id")
+            for at in range(0, len(batch), chunk):
+                part = batch.iloc[at : at + chunk]
+                other, y = part["id"].to_numpy(), np.stack(part["x"].to_list())
+                sim = np.zeros((len(ids), len(other)))
+                for c in range(x.shape[1]):
+                    sim += np.multiply.outer(x[:, c], y[:, c])
+                sim /= np.multiply.outer(n, part["n"].to_numpy())
+                sim[(other >= ids[:, None]) if earlier else (other == ids[:, None])] = -np.inf
+                best = sim.argmax(1)[:, None] if k == 1 else np.argsort(-sim, axis=1, kind="stable")[:, :k]
+                cos = np.take_along_axis(sim, best, 1)
+                row, col = np.nonzero(cos > -np.inf)
+                yield pd.DataFrame({"a": ids[row], "b": other[best[row, col]], "cos": cos[row, col]})
+
+    return run
+
+
+def similar_pairs(spark: SparkSession, d: str, k: int = 1, earlier: bool = True, block: int = 1024) -> DataFrame:
+    """(a, b, cos): each vector's ``k`` best others (of smaller id, if ``earlier``), ties to the smaller id.
+
+    Exact, for any number of vectors: blocks of queries come to the driver one after another and meet
+    all rows where these lie; the work is the square of the rows, what is written grows with them."""
+    rows = cut(_directions(spark, d), "vectors")
+    found, last, empty = scratch(spark, "pairs"), None, True
+    while True:
+        ask = (rows if last is None else rows.where(F.col("id") > last)).orderBy("id").limit(block).toPandas()
+        if ask.empty:
+            break
+        last = int(ask["id"].max())
+        others = rows.where(F.col("id") < last) if earlier else rows
+        for _, same in ask.groupby(ask["x"].map(len)):
+            run = _best_of(same["id"].to_numpy(), np.stack(same["x"].to_list()), same["n"].to_numpy(), k, earlier)
+            others.mapInPandas(run, "a long, b long, cos double").write.mode("append").parquet(found)
+            empty = False
+    if empty:
+        return spark.createDataFrame([], "a long, b long, cos double")
+    r = F.row_number().over(W.partitionBy("a").orderBy(F.desc("cos"), "b"))
+    return spark.read.schema("a long, b long, cos double").parquet(found).withColumn("r", r).where(F.col("r") <= k).drop("r")
 
 
 def nearest_earlier_tree(spark: SparkSession, d: str) -> DataFrame:
-    best = similar_pairs(spark, d).groupBy("a").agg(F.max(F.struct("cos", (-F.col("b")).alias("nb"))).alias("m"))
-    return table(spark, d, "embeddings").select(F.col("vec_id").alias("a")).join(best, "a", "left").select(F.col("a").alias("v"), F.coalesce(-F.col("m.nb"), F.col("a")).alias("parent"))
+    best = similar_pairs(spark, d).select("a", "b")
+    return table(spark, d, "embeddings").select(F.col("vec_id").alias("a")).join(best, "a", "left").select(F.col("a").alias("v"), F.coalesce("b", "a").alias("parent"))
 
 
 def twin_documents(spark: SparkSession, d: str) -> DataFrame:
@@ -143,10 +188,7 @@ def buyer_supplier(spark: SparkSession, d: str) -> DataFrame:
 
 
 def vector_neighbours(spark: SparkSession, d: str, k: int = 5) -> DataFrame:
-    p = similar_pairs(spark, d)
-    both = p.unionByName(p.select(F.col("b").alias("a"), F.col("a").alias("b"), "cos"))
-    r = F.row_number().over(W.partitionBy("a").orderBy(F.desc("cos"), "b"))
-    return both.withColumn("r", r).where(F.col("r") <= k).select(F.col("a").alias("src"), F.col("b").alias("dst"))
+    return similar_pairs(spark, d, k, earlier=False).select(F.col("a").alias("src"), F.col("b").alias("dst"))
 
 
 FORESTS = {
