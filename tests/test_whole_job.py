@@ -84,3 +84,10 @@ def test_line_graph_of_many_short_paths(spark):
     star = spark.createDataFrame([(0, i) for i in range(1, 30)], "src long, dst long")
     with pytest.raises(ValueError):
         extras.line_graph(Forest.of(star), most=10, per_edge=2)
+
+
+def test_every_leaf_and_hub(spark, sf):
+    p = pd.read_parquet(f"{sf}/part.parquet")
+    hubs = (-p.p_brand.str.extract("([0-9]+)")[0].astype(int)).value_counts()
+    want = {(int(v), 1, True) for v in p.p_partkey} | {(int(v), int(n), n == 1) for v, n in hubs.items() if n == 1 or n >= 5}
+    assert {tuple(r) for r in catalog.queries()["rel_filter_predicates_all"](spark, sf).collect()} == want
