@@ -2,13 +2,15 @@
 
 import collections
 import inspect
+import itertools
+import random
 import re
 
 import numpy as np
 import pandas as pd
 import pytest
 
-from grove.llm import line_templates
+from grove.llm import line_templates, spaced_seeds
 from grove.operators import extras
 from grove.operators.graph import Forest
 from grove.plans import catalog, workloads
@@ -91,3 +93,25 @@ def test_every_leaf_and_hub(spark, sf):
     hubs = (-p.p_brand.str.extract("([0-9]+)")[0].astype(int)).value_counts()
     want = {(int(v), 1, True) for v in p.p_partkey} | {(int(v), int(n), n == 1) for v, n in hubs.items() if n == 1 or n >= 5}
     assert {tuple(r) for r in catalog.queries()["rel_filter_predicates_all"](spark, sf).collect()} == want
+
+
+def test_no_window_is_missed(spark):
+    for n in range(spaced_seeds.MIN_WORDS, 17):
+        masks = spaced_seeds.MASKS if n >= 15 else spaced_seeds.SHORT_MASKS[10 if n >= 10 else 5]
+        may = n - -(-80 * n // 100)
+        for gone in itertools.combinations(range(n), may):
+            assert any(all(at + k not in gone for k, c in enumerate(m) if c == "#") for m in masks for at in range(n - len(m) + 1)), (n, gone)
+    r, rows, items, want = random.Random(4), [], [], set()
+    for i, n in enumerate([5, 7, 9, 10, 12, 14, 15, 16, 16, 18, 40] * 6):
+        item = [f"w{i}x{k}" for k in range(n)]
+        items.append((i, " ".join(item)))
+        size = min(16, n)
+        begin, may = r.randrange(n - size + 1), size - -(-80 * size // 100)
+        for j, m in enumerate((may, may + 1)):
+            text = item[begin : begin + size]
+            for k in r.sample(range(size), m):
+                text[k] = "other"
+            rows.append((2 * i + j, " ".join(["a", "b", *text, "c"])))
+        want.add((2 * i, i))
+    found = spaced_seeds.find_leaks(spark.createDataFrame(rows, "doc_id long, text string"), spark.createDataFrame(items, "item_id long, text string"))
+    assert {(x.doc_id, x.item_id) for x in found.collect()} == want
