@@ -30,7 +30,7 @@ def inspace_gather(g: Forest, diameter: int = 16, budget: int | None = None, led
 def inspace_roots(g: Forest, diameter: int = 16, budget: int | None = None, ledger: RoundLedger | None = None) -> DataFrame:
     """(v, root, depth) by budgeted rooting and pointer doubling."""
     b = budget or auto_budget(g.nodes.count(), diameter)
-    return cut(jump_to_root(root_forest(g, b, ledger=ledger), ledger), "rooted")
+    return cut(jump_to_root(root_forest(g, b, diameter, ledger), ledger), "rooted")
 
 
 def gather(g: Forest, how: str = "auto", diameter: int = 16, budget: int | None = None, ledger: RoundLedger | None = None, most_copies: int = 5_000_000) -> DataFrame:

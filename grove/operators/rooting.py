@@ -13,8 +13,10 @@ number less one: a connected piece of p nodes has p - 1 edges inside, one edge t
 node itself, and any other edge leaves it. So the parent choice is two aggregations.
 
 New edges get their steps from the node x that adds them: the tree around x is known
-to it, with pointers towards x. That alone is local work (one task-local pass over
-x's rows); it runs for nodes that passed a prefilter, so hubs never expand.
+to it, with pointers towards x. That alone is local work (one pass over x's rows); it
+runs for nodes that passed a prefilter, so hubs never expand. Nodes are dealt to groups
+of bounded rows, and a node's rows are in one group because the grouping asks for it: a
+plain repartition is only a wish that the planner may drop or split.
 
 Completion rule. Nodes that know their whole tree have no open branch and could never
 choose; they root at the greatest id among them, which all of them see.
@@ -22,8 +24,6 @@ choose; they root at the greatest id among them, which all of them see.
 
 from __future__ import annotations
 
-from collections.abc import Iterator
-
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -31,9 +31,13 @@ from pyspark.sql import functions as F
 
 from grove.operators.graph import Forest
 from grove.operators.ledger import RoundLedger
-from grove.session import cut
+from grove.session import cut, drop_cut, drop_paths, scratch
 
 _NEW = "x long, src long, dst long, hop_out long, hop_in long"
+#: Rows of a group that one call of the expansion holds, about.
+GROUP_ROWS = 20_000
+#: Pairs that are worked on at once.
+SQUARES = 2_000_000
 
 
 def tree_edges(edges: DataFrame) -> DataFrame:
@@ -42,57 +46,126 @@ def tree_edges(edges: DataFrame) -> DataFrame:
 
 
 def affordable(edges: DataFrame, budget: DataFrame) -> DataFrame:
-    """(x): nodes whose pairs may be within budget(v, left), by a bound that needs no pair:
-    of C(k, 2) pairs at most half the sum of min(k - 1, degree - 1) exist."""
+    """(x, k, left): nodes of degree k whose pairs may be within budget(v, left, seen), by a bound that needs
+    no pair: of C(k, 2) pairs at most half the sum of min(k - 1, degree - 1) exist. A node that was complete
+    at degree ``seen`` and has that degree still needs nothing."""
     deg = edges.groupBy(F.col("src").alias("w")).agg(F.count("*").alias("d"))
-    k = deg.withColumnsRenamed({"w": "x", "d": "k"})
-    at = edges.select(F.col("src").alias("x"), F.col("dst").alias("w")).join(deg, "w").join(k, "x")
-    sums = at.groupBy("x", "k").agg(F.sum(F.least(F.col("k") - 1, F.col("d") - 1)).alias("s"))
-    least = F.col("k") * (F.col("k") - 1) / 2 - F.col("s") / 2
-    return sums.where("k >= 2").join(budget.withColumnRenamed("v", "x"), "x").where(least <= F.col("left")).select("x")
-
-
-def _pairs_of(ids: np.ndarray, back: np.ndarray, x: int) -> tuple[np.ndarray, ...]:
-    """All pairs a < b of x's neighbours with the first steps both ways; back is each one's step towards x."""
-    order = np.argsort(ids)
-    ids, back = ids[order], back[order]
-    k = len(ids)
-    up = np.searchsorted(ids, back)
-    up = np.where((up < k) & (ids[np.minimum(up, k - 1)] == back), up, -1)
-    step = np.repeat(back[:, None], k, axis=1)
-    cur, who = np.arange(k), np.arange(k)
+    k = deg.withColumnsRenamed({"w": "x", "d": "k"}).where("k >= 2").join(budget.withColumnRenamed("v", "x"), "x").where("k <> seen")
+    at = edges.select(F.col("src").alias("x"), F.col("dst").alias("w")).join(k, "x").join(deg, "w")
+    sums = at.groupBy("x", "k", "left").agg(F.sum(F.least(F.col("k") - 1, F.col("d") - 1)).alias("s"))
+    return sums.where(F.col("k") * (F.col("k") - 1) / 2 - F.col("s") / 2 <= F.col("left")).select("x", "k", "left")
+
+
+def _pairs_of(src: np.ndarray, dst: np.ndarray, back: np.ndarray) -> list[np.ndarray]:
+    """[x, a, b, step a to b, step b to a] for all pairs a < b of the neighbours of each x, from rows sorted by
+    (src, dst); back is dst's step towards src. All nodes at once: a square of steps for each, laid end to end."""
+    new = np.diff(src, prepend=src[0] - 1) != 0
+    first = np.flatnonzero(new)[np.cumsum(new) - 1]
+    row = np.arange(len(src))
+    size = np.bincount(first, minlength=len(src))[first]
+    names, rank = np.unique(np.concatenate([dst, back]), return_inverse=True)
+    key = (np.cumsum(new) - 1) * len(names)
+    here, there = key + rank[: len(dst)], key + rank[len(dst) :]
+    up = np.minimum(np.searchsorted(here, there), len(here) - 1)
+    inside = here[up] == there
+    lost = ~inside & (back != src)
+    if lost.any():
+        raise RuntimeError(f"the rows of node {src[lost][0]} are not complete: a step towards it leads out of its neighbourhood")
+    up[~inside] = -1
+    local, at = row - first, np.cumsum(size) - size
+    step = np.repeat(back, size)  # the step from a to b is the step towards x, unless b hangs below a
+    cur = who = row
     while len(cur):
-        par = up[cur]
-        go = par >= 0
-        cur, who, par = cur[go], who[go], par[go]
-        step[par, who] = ids[cur]
-        cur = par
-    i, j = np.triu_indices(k, 1)
-    return ids[i], ids[j], step[i, j], step[j, i]
-
-
-def _expand(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    got = [b for b in batches if b.num_rows]
-    if not got:
-        return
-    t = pa.Table.from_batches(got).sort_by("src")
+        above = up[cur]
+        go = above >= 0
+        cur, who, above = cur[go], who[go], above[go]
+        step[at[above] + local[who]] = dst[cur]
+        cur = above
+    one = np.repeat(row, size)
+    col = np.arange(len(one)) - at[one]
+    upper = col > local[one]
+    one, col = one[upper], col[upper]
+    other = first[one] + col
+    return [src[one], dst[one], dst[other], step[at[one] + col], step[at[other] + local[one]]]
+
+
+def _expand(t: pa.Table) -> pa.Table:
+    t = t.sort_by([("src", "ascending"), ("dst", "ascending")])
     src, dst, back = (t.column(c).to_numpy() for c in ("src", "dst", "hop_in"))
-    cuts = np.append(np.flatnonzero(np.diff(src, prepend=src[0] - 1)), len(src))
-    for a, b in zip(cuts[:-1], cuts[1:], strict=True):
-        p, q, to, fro = _pairs_of(dst[a:b], back[a:b], src[a])
-        yield pa.RecordBatch.from_arrays([pa.array(np.full(len(p), src[a])), pa.array(p), pa.array(q), pa.array(to), pa.array(fro)], names=["x", "src", "dst", "hop_out", "hop_in"])
+    starts = np.flatnonzero(np.diff(src, prepend=src[0] - 1))
+    squares = np.cumsum(np.diff(np.append(starts, len(src))) ** 2)
+    cuts = np.append(starts[np.flatnonzero(np.diff(squares // SQUARES, prepend=-1))], len(src))
+    parts = [_pairs_of(src[a:b], dst[a:b], back[a:b]) for a, b in zip(cuts[:-1], cuts[1:], strict=True)]
+    return pa.table([pa.array(np.concatenate(c)) for c in zip(*parts, strict=True)], names=["x", "src", "dst", "hop_out", "hop_in"])
 
 
-def budget_round(edges: DataFrame, budget: DataFrame) -> tuple[DataFrame, DataFrame]:
-    """One growth round: (new edges both ways, spent(x, n)) for edges with steps and budget(v, left)."""
-    able = affordable(edges, budget)
-    mine = edges.join(able.withColumnRenamed("x", "src"), "src", "left_semi")
-    pairs = mine.select("src", "dst", "hop_in").repartition("src").mapInArrow(_expand, _NEW)
-    missing = cut(pairs.join(edges.select("src", "dst"), ["src", "dst"], "left_anti"), "missing")
-    spent = missing.groupBy("x").agg(F.count("*").alias("n")).join(budget.withColumnRenamed("v", "x"), "x").where(F.col("n") <= F.col("left")).select("x", "n")
+def missing_pairs(edges: DataFrame, able: DataFrame, groups: int) -> DataFrame:
+    """(x, src, dst, hop_out, hop_in): the pairs of neighbours that each node of ``able(x)`` does not see joined."""
+    mine = edges.join(able.select(F.col("x").alias("src")), "src", "left_semi").select("src", "dst", "hop_in")
+    pairs = mine.groupBy(F.pmod(F.xxhash64("src"), F.lit(groups))).applyInArrow(_expand, _NEW)
+    return pairs.join(edges.select("src", "dst"), ["src", "dst"], "left_anti")
+
+
+def payers(missing: DataFrame, able: DataFrame) -> DataFrame:
+    """(x, n, k): nodes that can pay for all their n missing pairs, none included, and so are complete at degree k."""
+    need = missing.groupBy("x").agg(F.count("*").alias("n"))
+    return able.join(need, "x", "left").select("x", F.coalesce("n", F.lit(0)).alias("n"), "k", "left").where("n <= left").drop("left")
+
+
+def added(missing: DataFrame, spent: DataFrame) -> DataFrame:
+    """The edges that are paid for, both ways; two nodes that add the same one agree on its steps."""
     paid = missing.join(spent.select("x"), "x", "left_semi").dropDuplicates(["src", "dst"]).select("src", "dst", "hop_out", "hop_in")
     back = paid.select(F.col("dst").alias("src"), F.col("src").alias("dst"), F.col("hop_in").alias("hop_out"), F.col("hop_out").alias("hop_in"))
-    return paid.unionByName(back), spent
+    return paid.unionByName(back)
+
+
+class Growth:
+    """A phase at work: edges with steps and the bill, a folder of each with a part for every round."""
+
+    def __init__(self, tree: DataFrame, nodes: DataFrame, budget: int):
+        self.spark, self.nodes, self.b = tree.sparkSession, nodes, budget
+        self.edge_dir, self.bill_dir = scratch(self.spark, "grown"), scratch(self.spark, "bill")
+        tree_edges(tree).write.parquet(f"{self.edge_dir}/part=-1")
+        self.shape, self.rounds = tree_edges(tree).schema, 0
+        self.size = self.edges().count()
+
+    def edges(self) -> DataFrame:
+        return self.spark.read.schema(self.shape).parquet(f"{self.edge_dir}/part=*")
+
+    def bill(self) -> DataFrame:
+        return self.spark.read.schema("x long, n long, k long").parquet(f"{self.bill_dir}/part=*")
+
+    def budget(self) -> DataFrame:
+        """(v, left, seen): what each node may still add, and the degree at which it was last complete."""
+        if self.rounds == 0:
+            return self.nodes.select("v", F.lit(self.b).cast("long").alias("left"), F.lit(0).cast("long").alias("seen"))
+        paid = self.bill().groupBy(F.col("x").alias("v")).agg(F.sum("n").alias("n"), F.max("k").alias("k"))
+        return self.nodes.join(paid, "v", "left").select("v", (F.lit(self.b) - F.coalesce("n", F.lit(0))).alias("left"), F.coalesce("k", F.lit(0)).alias("seen"))
+
+    def round(self) -> int:
+        """One growth round; the number of rows it added (an edge is two)."""
+        edges = self.edges()
+        able = cut(affordable(edges, self.budget()), "able")
+        missing = cut(missing_pairs(edges, able, 1 + self.size // GROUP_ROWS), "missing")
+        payers(missing, able).write.parquet(f"{self.bill_dir}/part={self.rounds}")
+        spent = self.spark.read.schema("x long, n long, k long").parquet(f"{self.bill_dir}/part={self.rounds}")
+        added(missing, spent).write.parquet(f"{self.edge_dir}/part={self.rounds}")
+        self.rounds += 1
+        fresh = self.spark.read.schema(self.shape).parquet(f"{self.edge_dir}/part={self.rounds - 1}").count()
+        drop_cut(able, missing)
+        self.size += fresh
+        return fresh
+
+    def drop(self) -> None:
+        drop_paths(self.spark, self.edge_dir, self.bill_dir)
+
+
+def budget_round(edges: DataFrame, budget: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """One growth round: (new edges both ways, spent(x, n)) for edges with steps and budget(v, left)."""
+    able = cut(affordable(edges, budget.select("v", "left", F.lit(0).cast("long").alias("seen"))), "able")
+    missing = cut(missing_pairs(edges, able, 1 + edges.count() // GROUP_ROWS), "missing")
+    spent = cut(payers(missing, able), "spent")
+    return added(missing, spent), spent.select("x", "n")
 
 
 def choose_parents(nodes: DataFrame, tree: DataFrame, edges: DataFrame) -> DataFrame:
@@ -122,43 +195,40 @@ def growth_rounds(diameter: int) -> int:
     return max(1, int(diameter - 1).bit_length() if diameter > 1 else 1) + 1
 
 
-def root_forest(g: Forest, budget: int, diameter: int | None = None, ledger: RoundLedger | None = None, strict_budget: bool = False, max_phases: int = 60) -> DataFrame:
+def root_forest(g: Forest, budget: int, diameter: int | None = None, ledger: RoundLedger | None = None, strict_budget: bool = True, max_phases: int = 200) -> DataFrame:
     """(v, parent) for every node of a forest; a root is its own parent.
 
-    ``budget`` is B_0 edges a node; B_i = n_0 B_0 / n_i. A phase that removes under a
-    quarter of the live nodes doubles the mass unless ``strict_budget``."""
+    ``budget`` is B_0 edges a node; B_i = n_0 B_0 / n_i, so that live nodes times budget
+    stays the same. ``diameter`` bounds the growth rounds of a phase; without it a phase
+    grows until a round adds nothing. With ``strict_budget=False`` (an extension) a phase
+    that removes under a quarter of the live nodes doubles the product."""
     nodes, tree = cut(g.nodes, "live"), cut(g.edges.select("src", "dst"), "tree")
     n0 = live = nodes.count()
-    mass = n0 * max(2, budget)
-    out: DataFrame | None = None
+    mass, spark, done = n0 * max(2, budget), g.nodes.sparkSession, scratch(g.nodes.sparkSession, "parents")
     for phase in range(max_phases):
         if live == 0:
             break
         b = max(2, min(mass // live, n0 * n0))
-        edges = cut(tree_edges(tree), "grown")
-        left = nodes.select("v", F.lit(b).cast("long").alias("left"))
-        copies = grew = 0
-        for _ in range(growth_rounds(diameter) if diameter else 64):
-            new, spent = budget_round(edges, left)
-            new, spent = cut(new, "new"), cut(spent, "spent")
-            n_new = new.count()
-            if n_new == 0:
-                break
+        grown, grew = Growth(tree, nodes, b), 0
+        while grew < (growth_rounds(diameter) if diameter else 64) and grown.round():
             grew += 1
-            copies += spent.agg(F.sum("n")).first()[0]
-            left = cut(left.join(spent.withColumnRenamed("x", "v"), "v", "left").select("v", (F.col("left") - F.coalesce("n", F.lit(0))).alias("left")), "left")
-            edges = cut(edges.unionByName(new), "grown")
-        chosen = cut(settle_roots(choose_parents(nodes, tree, edges)), "chosen")
-        out = chosen if out is None else cut(out.unionByName(chosen), "parents")
+        settle_roots(choose_parents(nodes, tree, grown.edges())).write.parquet(f"{done}/phase={phase}")
+        chosen = spark.read.schema("v long, parent long").parquet(f"{done}/phase={phase}")
         gone = chosen.select("v")
-        tree = cut(tree.join(gone.withColumnRenamed("v", "src"), "src", "left_anti").join(gone.withColumnRenamed("v", "dst"), "dst", "left_anti"), "tree")
-        nodes = cut(nodes.join(gone, "v", "left_anti"), "live")
-        after = nodes.count()
+        rest = cut(tree.join(gone.withColumnRenamed("v", "src"), "src", "left_anti").join(gone.withColumnRenamed("v", "dst"), "dst", "left_anti"), "tree")
+        left = cut(nodes.join(gone, "v", "left_anti"), "live")
+        after = left.count()
         if ledger is not None:
-            ledger.record("root_phase", rounds=grew + 1, live=live, delta=b, copies=copies, edges=live - after, note=f"phase {phase}")
+            paid, most = grown.bill().agg(F.sum("n"), F.max("n")).first() if grown.rounds else (0, 0)
+            ledger.record("root_phase", rounds=grew + 1, exchanges=7 * (grew + 1) + 6, live=live, delta=b, copies=paid or 0, bucket=most or 0, moved=grown.size, edges=live - after, note=f"phase {phase}")
+        grown.drop()
+        drop_cut(tree, nodes)
+        tree, nodes = rest, left
         if after == live:
             raise RuntimeError("a phase removed no node: the graph has a cycle")
         if not strict_budget and 4 * (live - after) < live:
             mass *= 2
         live = after
-    return out if out is not None else g.nodes.select("v", F.col("v").alias("parent"))
+    if live:
+        raise RuntimeError(f"{live} nodes are left after {max_phases} phases")
+    return spark.read.schema("v long, parent long").parquet(f"{done}/phase=*") if n0 else g.nodes.select("v", F.col("v").alias("parent"))

@@ -1,8 +1,9 @@
 """Session helpers: shared folder, lineage cuts, table access.
 
 Lineage is cut only through storage that every executor sees. On a cluster that
-folder is named by ``spark.checkpoint.dir``; when no folder is named (tests, a
-laptop) one is made under the local temp folder and removed at exit.
+folder is named by ``spark.checkpoint.dir``; when no folder is named, a local master
+(tests, a laptop) gets one under the local temp folder, removed at exit, and any other
+master is refused.
 """
 
 from __future__ import annotations
@@ -22,6 +23,8 @@ def shared_dir(spark: SparkSession) -> str:
     if not named:
         named = spark.sparkContext.getCheckpointDir()
     if not named:
+        if not spark.sparkContext.master.startswith("local"):
+            raise RuntimeError("spark.checkpoint.dir names no shared folder; a folder of one machine will not do on a cluster")
         os.makedirs("/tmp/checkpoints", exist_ok=True)
         own = tempfile.mkdtemp(prefix="grove-", dir="/tmp/checkpoints")
         atexit.register(shutil.rmtree, own, ignore_errors=True)
@@ -43,15 +46,18 @@ def cut(df: DataFrame, name: str = "cut") -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
-def drop_cut(df: DataFrame) -> None:
-    """Delete the files behind a table made by :func:`cut` once nothing reads it."""
-    spark = df.sparkSession
-    base = shared_dir(spark)
-    roots = {f[: f.rindex("/")] for f in df.inputFiles()}
-    for root in roots:
-        if base.split(":", 1)[-1].lstrip("/") in root:
-            path = spark._jvm.org.apache.hadoop.fs.Path(root)
-            path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True)
+def drop_paths(spark: SparkSession, *paths: str) -> None:
+    """Delete folders under the shared one once nothing reads them."""
+    for name in paths:
+        path = spark._jvm.org.apache.hadoop.fs.Path(name)
+        path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True)
+
+
+def drop_cut(*tables: DataFrame) -> None:
+    """Delete the files behind tables made by :func:`cut` once nothing reads them."""
+    for df in tables:
+        base = shared_dir(df.sparkSession).split(":", 1)[-1].lstrip("/")
+        drop_paths(df.sparkSession, *{f[: f.rindex("/")] for f in df.inputFiles() if base in f})
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
