@@ -60,27 +60,30 @@ CONTEXT = {
 }
 _AGAINST = r"version|isbn|issn|invoice|order|page|fig|line|doi|commit|sha"
 CTX = 48
+CHUNK = 64
 
 
 def _located(text: Column, kind: str) -> Column:
     """array<struct<s, e, v, l>>: code-point start and end, match, and what is before it."""
     rx = PATTERNS[kind]
     pieces, hits = F.split(text, rx, -1), F.regexp_extract_all(text, F.lit(rx), F.lit(0))
-    step = F.aggregate(
-        F.arrays_zip(F.slice(pieces, 1, F.size(hits)).alias("p"), hits.alias("h")),
-        F.struct(F.lit(0).alias("at"), F.expr("cast(array() as array<struct<s:int,e:int,v:string,l:string>>)").alias("out")),
-        lambda a, x: F.struct(
-            (a["at"] + F.length(x["p"]) + F.length(x["h"])).alias("at"),
-            F.concat(
-                a["out"],
-                F.array(
-                    F.struct(
-                        (a["at"] + F.length(x["p"])).alias("s"), (a["at"] + F.length(x["p"]) + F.length(x["h"])).alias("e"), x["h"].alias("v"), F.lower(F.right(x["p"], F.lit(CTX))).alias("l")
-                    )
-                ),
-            ).alias("out"),
-        ),
-    )["out"]
+    spans = "array<struct<s:int,e:int,v:string,l:string>>"
+
+    def place(a: Column, x: Column) -> Column:
+        start = a["at"] + F.length(x["p"])
+        one = F.struct(start.alias("s"), (start + F.length(x["h"])).alias("e"), x["h"].alias("v"), F.lower(F.right(x["p"], F.lit(CTX))).alias("l"))
+        return F.struct((start + F.length(x["h"])).alias("at"), F.concat(a["out"], F.array(one)).alias("out"))
+
+    def chunk(a: Column, some: Column) -> Column:
+        got = F.aggregate(some, F.struct(a["at"].alias("at"), F.expr(f"cast(array() as {spans})").alias("out")), place)
+        return F.transform(F.array(got), lambda g: F.struct(g["at"].alias("at"), F.concat(a["out"], F.array(g["out"])).alias("out")))[0]
+
+    # spans are appended in chunks, and chunks to each other, so that a text of n hits copies n * CHUNK + (n / CHUNK)^2 of them
+    def placed(every: Column) -> Column:
+        chunks = F.transform(F.sequence(F.lit(1), F.size(every), F.lit(CHUNK)), lambda i: F.slice(every, i, F.lit(CHUNK)))
+        return F.flatten(F.aggregate(chunks, F.struct(F.lit(0).alias("at"), F.expr(f"cast(array() as array<{spans}>)").alias("out")), chunk)["out"])
+
+    step = F.transform(F.array(F.arrays_zip(F.slice(pieces, 1, F.size(hits)).alias("p"), hits.alias("h"))), placed)[0]
     gate = _GATE.get(kind)
     none = F.expr("cast(array() as array<struct<s:int,e:int,v:string,l:string>>)")
     ok = F.lit(True) if gate is None else text.contains(gate) if len(gate) == 1 else text.rlike(gate)
