@@ -9,9 +9,9 @@ scores the weighted sum. Only document labels are needed: the attention learns
 which passages speak for them.
 
 The model is fitted on the driver over at most ``max_train`` labelled documents,
-the first in the order of a hash of their id (a documented bound: features, not
-texts, come to the driver, and at most ``MAX_PASSAGES`` passages of a document,
-evenly spaced). Scoring reads every passage of every document.
+the first in the order of a hash of their id (a documented bound). Features, not
+texts, come to the driver, of every passage of those documents, in half precision;
+they are widened a batch at a time. Scoring reads every passage of every document.
 
 Defined results: null or empty text is one empty passage; rows with a null id are
 scored, not learned from, and not held out; with no usable label every score is 0.5.
@@ -28,7 +28,7 @@ from pyspark.sql import functions as F
 
 from grove.llm import text_arrays as ta
 
-PASSAGE, MAX_PASSAGES = 128, 64
+PASSAGE = 128
 _TRI, _WORD = 192, 128
 _CLASS = np.zeros(256, np.int64)
 _CLASS[:] = 63
@@ -119,8 +119,13 @@ class GatedBags:
         return self.forward(x, begin)["y"].astype(float)
 
     def fit(self, x: np.ndarray, begin: np.ndarray, label: np.ndarray, epochs: int = 30, batch: int = 64, rate: float = 3e-3, decay: float = 1e-3, seed: int = 6) -> None:
-        self.mean = x.mean(0)
-        self.scale = x.std(0) + 0.02
+        total = squares = 0.0
+        for at in range(0, len(x), 4096):
+            some = x[at : at + 4096].astype(np.float64)
+            total, squares = total + some.sum(0), squares + (some * some).sum(0)
+        mean = total / len(x)
+        self.mean = mean.astype(np.float32)
+        self.scale = (np.sqrt(np.maximum(squares / len(x) - mean**2, 0)) + 0.02).astype(np.float32)
         rng = np.random.default_rng(seed)
         m = {k: np.zeros_like(v) for k, v in self.p.items()}
         v = {k: np.zeros_like(q) for k, q in self.p.items()}
@@ -132,7 +137,7 @@ class GatedBags:
                 bags = order[k : k + batch]
                 at = np.concatenate([np.arange(begin[i], begin[i + 1]) for i in bags])
                 off = np.concatenate([[0], np.cumsum(sizes[bags])])
-                grad = self._gradient(x[at], off, label[bags])
+                grad = self._gradient(x[at].astype(np.float32), off, label[bags])
                 step += 1
                 for n, g in grad.items():
                     g = g + (decay * self.p[n] if n in "WVU" else 0)
@@ -166,10 +171,7 @@ def _features(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for whole in batches:
         for batch in ta.slices(whole, "text"):
             x, begin = encode(batch.column("text"))
-            out = []
-            for a, b in zip(begin[:-1], begin[1:], strict=True):
-                at = np.unique(np.linspace(a, b - 1, min(b - a, MAX_PASSAGES)).astype(int))
-                out.append(x[at].astype(np.float16).tobytes())
+            out = [x[a:b].astype(np.float16).tobytes() for a, b in zip(begin[:-1], begin[1:], strict=True)]
             yield pa.RecordBatch.from_arrays([batch.column("quality"), pa.array(out, pa.binary())], names=["quality", "x"])
 
 
@@ -188,7 +190,7 @@ def train(docs: DataFrame, labels: DataFrame, max_train: int = 4000) -> GatedBag
     got = rows.mapInArrow(_features, "quality int, x binary").toPandas()
     if got["quality"].nunique() < 2:
         return model
-    bags = [np.frombuffer(b, np.float16).reshape(-1, WIDTH).astype(np.float32) for b in got["x"]]
+    bags = [np.frombuffer(b, np.float16).reshape(-1, WIDTH) for b in got["x"]]
     model.fit(np.concatenate(bags), np.concatenate([[0], np.cumsum([len(b) for b in bags])]), (got["quality"] > 0).to_numpy(np.float32))
     return model
 
