@@ -36,7 +36,7 @@ from grove.session import cut, scratch
 #: Format constants: the skippable frame's magic number, line ends.
 DICT_MAGIC = 0x184D2A5D
 EOL = b"\r\n"
-SAMPLE_BYTES, DICT_BYTES, FEWEST = 1 << 20, 64 << 10, 16
+SAMPLE_BYTES, DICT_BYTES = 1 << 20, 64 << 10
 #: Up to so many archive names are broadcast when archives are read.
 MANY_ARCHIVES = 100_000
 _BAD = re.compile(r"[\x00-\x20\x7f]")
@@ -82,14 +82,12 @@ class ArchiveWriter:
         self.name = f"{uuid.uuid4().hex}.warc.zst"
         self.out = self.fs.open_output_stream(f"{self.root}/{self.name}", compression=None)
         samples = [r for _, r in self.held]
-        words = None
-        if len(samples) >= FEWEST:
-            try:
-                size = min(DICT_BYTES, max(4096, self.held_bytes // 8))
-                words = zstandard.train_dictionary(size, [s[:16384] for s in samples], k=256, d=8, f=18, accel=4, split_point=1.0)
-            except zstandard.ZstdError:
-                words = None
-        raw = words.as_bytes() if words is not None else b""
+        size = min(DICT_BYTES, max(4096, self.held_bytes // 8))
+        try:
+            words = zstandard.train_dictionary(size, [s[:16384] for s in samples], k=256, d=8, f=18, accel=4, split_point=1.0)
+        except zstandard.ZstdError:  # too few or too uniform to train on: their own bytes serve, the last ones nearest
+            words = zstandard.ZstdCompressionDict(b"".join(s[: max(8, size // len(samples))] for s in reversed(samples))[-size:], dict_type=zstandard.DICT_TYPE_RAWCONTENT)
+        raw = words.as_bytes()
         self.out.write(struct.pack("<II", DICT_MAGIC, len(raw)) + raw)
         self.at = 8 + len(raw)
         self.took = 0
