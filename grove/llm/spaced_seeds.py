@@ -57,7 +57,7 @@ def find_leaks(docs: DataFrame, items: DataFrame, masks: tuple[str, ...] = MASKS
     """(doc_id, digest, item_id, doc_word, item_word, n_matched, n_words) for each text and item
     that share a window: the words from which, and the best window's agreement.
 
-    ``docs`` has doc_id and text, ``items`` item_id and text; digest is a hash of the text."""
+    ``docs`` has doc_id and text, ``items`` item_id and text; digest is the md5 of the text."""
     tests = cut(
         items.where("text is not null").select(F.col("item_id").cast("long").alias("item_id"), F.transform(words_of(F.col("text")), lambda x: F.xxhash64(x)).alias("w")).where(F.size("w") >= MIN_WORDS),
         "items",
@@ -76,7 +76,7 @@ def find_leaks(docs: DataFrame, items: DataFrame, masks: tuple[str, ...] = MASKS
     seeds = cut(seeds.select("item_id", F.col("at").alias("item_at"), "seed"), "seeds")
     small = seeds.count() <= max_broadcast
 
-    texts = docs.where("text is not null").select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64("text").alias("digest"), F.transform(words_of(F.col("text")), lambda x: F.xxhash64(x)).alias("w"))
+    texts = docs.where("text is not null").select(F.col("doc_id").cast("long").alias("doc_id"), F.md5("text").alias("digest"), F.transform(words_of(F.col("text")), lambda x: F.xxhash64(x)).alias("w"))
     spans = _spans(texts, ["doc_id", "digest"], plain)
     hits = cut(
         spans.join(F.broadcast(seeds) if small else seeds, "seed").select("doc_id", "digest", "item_id", (F.col("at") - F.col("item_at")).alias("shift")).distinct(),
@@ -108,4 +108,4 @@ def find_leaks(docs: DataFrame, items: DataFrame, masks: tuple[str, ...] = MASKS
 def drop_leaks(docs: DataFrame, items: DataFrame, **options) -> DataFrame:
     """``docs`` with all its columns, without the rows whose text shares a window with an item."""
     bad = find_leaks(docs, items, **options).select(F.col("digest").alias("_bad")).distinct()
-    return docs.join(bad, F.xxhash64(docs["text"]) == bad["_bad"], "left_anti")
+    return docs.join(bad, F.md5(docs["text"]) == bad["_bad"], "left_anti")
