@@ -17,9 +17,8 @@ a hash and a digest per line, no text; only lines under recurring branches carry
 their words on. Counts are combined before a shuffle and hot joins can be split, so
 no task holds all lines of a hot template.
 
-Lines of fewer than ``depth`` words have no tree to walk. With ``short`` they recur by
-their exact words, digits included, under the same ``min_docs``; without it they stay,
-as the SQL of ``op9_line_templates`` has it.
+Lines of fewer than ``depth`` words have no tree to walk: they recur by their exact
+words, digits included, under the same ``min_docs``.
 
 Defined results: null and empty texts have no lines and stay; lines without a word are
 never dropped; order and separators of kept lines are unchanged.
@@ -82,7 +81,7 @@ def _small(df: DataFrame, numbers: Column) -> DataFrame:
     return F.broadcast(df) if held <= BROADCAST_NUMBERS else df
 
 
-def recurring_lines(docs: DataFrame, depth: int = 3, min_docs: int = 3, wild_words: int = 8, short: bool = False) -> DataFrame:
+def recurring_lines(docs: DataFrame, depth: int = 3, min_docs: int = 3, wild_words: int = 8) -> DataFrame:
     """(digest, drops): for each text with lines to drop, their positions (from 0).
 
     ``docs`` has doc_id and text; digest is the md5 of the text."""
@@ -113,7 +112,7 @@ def recurring_lines(docs: DataFrame, depth: int = 3, min_docs: int = 3, wild_wor
         .select("branch", "key", F.md5("template").alias("template"))
     )
     found = under.drop("shape").join(template, ["branch", "key"]).select("branch", "template", "digest", "id", "pos")
-    matched = cut(found.unionByName(_short(every, depth, min_docs)) if short else found, "matched")
+    matched = cut(found.unionByName(_short(every, depth, min_docs)), "matched")
     recurs = (
         matched.groupBy("branch", "template", "digest")
         .agg(F.min("id").alias("id"))
@@ -128,10 +127,10 @@ def recurring_lines(docs: DataFrame, depth: int = 3, min_docs: int = 3, wild_wor
     return out
 
 
-def drop_recurring(docs: DataFrame, depth: int = 3, min_docs: int = 3, wild_words: int = 8, short: bool = False) -> DataFrame:
+def drop_recurring(docs: DataFrame, depth: int = 3, min_docs: int = 3, wild_words: int = 8) -> DataFrame:
     """``docs`` with all its columns, recurring lines taken out of ``text``; beside them
     ``_n_lines`` and ``_n_dropped``. No row is dropped, a text may become empty."""
-    found = recurring_lines(docs, depth, min_docs, wild_words, short)
+    found = recurring_lines(docs, depth, min_docs, wild_words)
     drops = _small(found.withColumnsRenamed({"digest": "_digest", "drops": "_drops"}), 8 + F.size("_drops"))
     joined = docs.withColumn("_digest", F.md5("text")).join(drops, "_digest", "left")
     lines = F.split("text", "\n")

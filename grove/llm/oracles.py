@@ -76,6 +76,8 @@ with d as (select doc_id, text, md5(text) as digest, string_split(text, chr(10))
 l as (select doc_id as id, digest, unnest(range(0, len(ls))) as pos, unnest(ls) as line from d where text is not null),
 w as (select id, digest, pos, list_transform(list_filter(regexp_split_to_array(line, '[\\x20\\x09-\\x0D]+'), lambda x: x <> ''),
   lambda x: case when regexp_matches(x, '[0-9]') then '<*>' else x end) as w from l),
+few as (select id, digest, pos, list_filter(regexp_split_to_array(line, '[\\x20\\x09-\\x0D]+'), lambda x: x <> '') as w from l),
+short as (select id, digest, pos, len(w) as n, array_to_string(w, ' ') as template from few where len(w) between 1 and 2),
 k as (select id, digest, pos, w, len(w) as n, w[1] as a, w[2] as b, w[3] as c from w where len(w) >= 3),
 reached as (select n, a, b, c from k group by n, a, b, c having count(distinct digest) >= 3),
 u as (select k.*, array_to_string(w, ' ') as shape from k join reached using (n, a, b, c)),
@@ -85,7 +87,7 @@ support as (select n, a, b, c, ofs, word from spread group by n, a, b, c, ofs, w
 template as (select s.n, s.a, s.b, s.c, s.shape, count(p.word) as held, string_agg(coalesce(p.word, '<*>'), ' ' order by s.ofs) as template
   from spread s left join support p on s.n = p.n and s.a = p.a and s.b = p.b and s.c = p.c and s.ofs = p.ofs and s.word = p.word
   group by s.n, s.a, s.b, s.c, s.shape having 2 * count(p.word) filter (p.word <> '<*>') >= s.n and (count(p.word) = s.n or (s.n >= 8 and 4 * count(p.word) >= 3 * s.n))),
-matched as (select n, a, b, c, template, digest, id, pos from u join template using (n, a, b, c, shape)),
+matched as (select n, a, b, c, template, digest, id, pos from u join template using (n, a, b, c, shape) union all select n, '', '', '', template, digest, id, pos from short),
 recurs as (select n, a, b, c, template, min(struct_pack(id := id, digest := digest)) as first from matched group by n, a, b, c, template having count(distinct digest) >= 3),
 drops as (select digest, list(distinct pos) as drops from matched join recurs using (n, a, b, c, template) where digest <> first.digest group by digest)
 select doc_id, cast(case when length(text) > 0 then len(ls) else 0 end as bigint) as n_lines, cast(coalesce(len(drops), 0) as bigint) as n_dropped,
