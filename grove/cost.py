@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import math
+
 from pyspark.sql import DataFrame, SparkSession
 
 from grove.operators.baselines import predicted_rounds
@@ -25,3 +27,9 @@ def mpc_plans(spark: SparkSession, sizes: list[int], mem_exp: float = 0.5) -> Da
 def predictions(spark: SparkSession, sizes: list[int], delta: int = 64, d: int = 32, decay: float = 0.5, alpha: float = 0.5) -> DataFrame:
     rows = [(m, n, round(float(predicted_rounds(m, n, delta, d, decay, alpha)), 6)) for n in sizes for m in METHODS]
     return spark.createDataFrame(rows, "method string, n long, rounds double")
+
+
+def load_bound(rows: int, machines: int, heaviest: int) -> float:
+    """What a machine may hold when ``rows`` rows lie on ``machines`` machines by a hash of their key and no
+    key has more than ``heaviest`` of them: twice the mean and a log factor of the heaviest."""
+    return 2 * rows / machines + heaviest * (math.log2(machines) + 4)

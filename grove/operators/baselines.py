@@ -2,43 +2,66 @@
 
 from __future__ import annotations
 
+import itertools
 import math
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from grove.functions.coins import SIDES, coin
-from grove.operators.clique import neighbourhood
-from grove.operators.graph import Forest, induced, max_degree, remove_closed
+from grove.operators.clique import balls
+from grove.operators.graph import Forest, degrees, induced, max_degree, remove_closed
 from grove.operators.ledger import RoundLedger
 from grove.operators.local import Arrays, greedy
-from grove.operators.shatter import desire_round, shatter
-from grove.session import cut
+from grove.operators.shatter import CAP, shatter
+from grove.session import Parts, cut, drop_cut
 
 
-def _more(chosen: DataFrame | None, new: DataFrame) -> DataFrame:
-    return new if chosen is None else chosen.unionByName(new)
+def _fits(rows: DataFrame, most_rows: int) -> DataFrame:
+    if rows.count() > most_rows:
+        raise ValueError(f"more than {most_rows} rows do not fit one machine")
+    return rows.coalesce(1)
 
 
 def _solo(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """The greedy set of the whole graph in rows (src, dst, rank), a loop a node; by rising (rank, id)."""
     got = [b for b in batches if b.num_rows]
     if got:
         t = pa.Table.from_batches(got)
-        a, b = t.column("src").to_numpy(), t.column("dst").to_numpy()
+        a, b, rank = (t.column(c).to_numpy() for c in ("src", "dst", "rank"))
         loop = a == b
-        arrays = Arrays(a[loop], a[~loop], b[~loop])
-        yield pa.RecordBatch.from_arrays([pa.array(arrays.ids[greedy(arrays)])], names=["v"])
+        order = np.lexsort((a[loop], rank[loop]))
+        place = np.empty(len(order), np.int64)
+        by_id = np.argsort(a[loop])
+        place[order] = np.arange(len(order))
+        at = lambda x: place[by_id][np.searchsorted(a[loop][by_id], x)]
+        arrays = Arrays(np.arange(len(order)), at(a[~loop]), at(b[~loop]))
+        yield pa.RecordBatch.from_arrays([pa.array(a[loop][order][greedy(arrays)])], names=["v"])
+
+
+def _ranked(g: Forest, rank: Column) -> DataFrame:
+    return g.edges.select("src", "dst", F.lit(0).cast("long").alias("rank")).unionByName(g.nodes.select(F.col("v").alias("src"), F.col("v").alias("dst"), rank.cast("long").alias("rank")))
+
+
+class _Loop:
+    """What the loops share: parts of the set, the live graph, and the last round's tables to delete."""
+
+    def __init__(self, g: Forest, name: str):
+        self.g, self.set, self.old, self.n = g, Parts(g.nodes.sparkSession, name, "v long"), [], 0
+
+    def join(self, new: DataFrame) -> None:
+        """``new`` joins the set and leaves the graph with its neighbours."""
+        self.g = remove_closed(self.g, self.set.add(new)).cut()
+        drop_cut(*self.old)
+        self.old, self.n = [self.g.nodes, self.g.edges], self.n + 1
 
 
 def solo_mis(g: Forest, most_rows: int = 5_000_000) -> DataFrame:
     """One machine holds the whole graph; refused beyond ``most_rows`` rows."""
-    rows = g.edges.select("src", "dst").unionByName(g.nodes.select(F.col("v").alias("src"), F.col("v").alias("dst")))
-    if rows.count() > most_rows:
-        raise ValueError(f"more than {most_rows} rows do not fit one machine")
-    return cut(rows.coalesce(1).mapInArrow(_solo, "v long"), "solo")
+    return cut(_fits(_ranked(g, F.lit(0)), most_rows).mapInArrow(_solo, "v long"), "solo")
 
 
 def priority_round(g: Forest, seed: int, tag: str) -> DataFrame:
@@ -51,41 +74,35 @@ def priority_round(g: Forest, seed: int, tag: str) -> DataFrame:
 def priority_mis(g: Forest, fresh: bool = True, seed: int = 7, ledger: RoundLedger | None = None) -> DataFrame:
     """Local minima of random priorities join, for any graph. With ``fresh=False`` one order is
     kept, and the result is the sequential greedy set in that order."""
-    chosen, n = None, 0
-    while True:
-        live = g.nodes.count()
+    run = _Loop(g, "priority")
+    while live := run.g.nodes.count():
         if ledger is not None:
-            ledger.record("priority_mis", rounds=1, exchanges=4, live=live)
-        if live == 0:
-            return chosen if chosen is not None else g.nodes
-        new = cut(priority_round(g, seed, f"priority{n if fresh else 0}"), "joined")
-        chosen, g, n = _more(chosen, new), remove_closed(g, new).cut(), n + 1
+            ledger.load(run.g.edges, "src")
+            ledger.record("priority_mis", rounds=1, live=live)
+        run.join(priority_round(run.g, seed, f"priority{run.n if fresh else 0}"))
+    return run.set.frame()
 
 
 def marking_mis(g: Forest, seed: int = 7, ledger: RoundLedger | None = None) -> DataFrame:
     """A node marks itself with probability 1 / (2 degree); of marked neighbours the one of higher (degree, id) stays."""
-    chosen, n = None, 0
-    while True:
-        live = g.nodes.count()
+    run = _Loop(g, "marking")
+    while live := run.g.nodes.count():
         if ledger is not None:
-            ledger.record("marking_mis", rounds=1, exchanges=6, live=live)
-        if live == 0:
-            return chosen if chosen is not None else g.nodes
-        deg = cut(g.nodes.join(g.edges.groupBy(F.col("src").alias("v")).agg(F.count("*").alias("d")), "v", "left").select("v", F.coalesce("d", F.lit(0)).alias("d")), "deg")
-        marked = deg.where((F.col("d") == 0) | (coin("v", seed, f"degree{n}") < F.lit(SIDES) / (2 * F.col("d")))).select("v", "d")
+            ledger.record("marking_mis", rounds=1, live=live)
+        deg = cut(degrees(run.g), "deg")
+        marked = deg.where((F.col("degree") == 0) | (coin("v", seed, f"degree{run.n}") < F.lit(SIDES) / (2 * F.col("degree")))).select("v", F.col("degree").alias("d"))
         best = (
-            g.edges.join(marked.select(F.col("v").alias("dst"), F.struct("d", "v").alias("q")), "dst").groupBy(F.col("src").alias("v")).agg(F.max("q").alias("q"))
+            run.g.edges.join(marked.select(F.col("v").alias("dst"), F.struct("d", "v").alias("q")), "dst").groupBy(F.col("src").alias("v")).agg(F.max("q").alias("q"))
         )
-        new = cut(marked.join(best, "v", "left").where(F.col("q").isNull() | (F.struct("d", "v") > F.col("q"))).select("v"), "joined")
-        chosen, g, n = _more(chosen, new), remove_closed(g, new).cut(), n + 1
+        run.join(marked.join(best, "v", "left").where(F.col("q").isNull() | (F.struct("d", "v") > F.col("q"))).select("v"))
+        drop_cut(deg)
+    return run.set.frame()
 
 
 def tree_local_mis(g: Forest, seed: int = 7, ledger: RoundLedger | None = None) -> DataFrame:
     """The desire process alone until nothing is left; the published tree process is known here by its bound only."""
     chosen, rest = shatter(g, 400, seed, ledger)
-    if rest.nodes.count():
-        chosen = _more(chosen, priority_mis(rest, seed=seed))
-    return chosen if chosen is not None else g.nodes
+    return chosen.unionByName(priority_mis(rest, seed=seed)) if rest.nodes.limit(1).count() else chosen
 
 
 def bit_reduction_round(state: DataFrame) -> DataFrame:
@@ -103,7 +120,7 @@ def rooted_three_colour(parents: DataFrame, ledger: RoundLedger | None = None) -
     while (now.agg(F.max("c")).first()[0] or 0) > 5:
         now = cut(bit_reduction_round(now), "colour")
         if ledger is not None:
-            ledger.record("bit_reduction", rounds=1, exchanges=2)
+            ledger.record("bit_reduction", rounds=1)
     for x in (5, 4, 3):
         up = now.select(F.col("v").alias("parent"), F.col("c").alias("pc"))
         root = F.col("v") == F.col("parent")
@@ -114,44 +131,33 @@ def rooted_three_colour(parents: DataFrame, ledger: RoundLedger | None = None) -
         free = F.array_min(F.array_except(F.array(*[F.lit(k).cast("long") for k in range(3)]), others))
         now = cut(down.join(up, "parent").select("v", "parent", F.when(F.col("c") == x, free).otherwise(F.col("c")).alias("c")), "colour")
         if ledger is not None:
-            ledger.record("shift_down", rounds=1, exchanges=4)
+            ledger.record("shift_down", rounds=1)
     return now.select("v", "c")
 
 
 def rooted_mis(g: Forest, parents: DataFrame, ledger: RoundLedger | None = None) -> DataFrame:
     """Colour classes of the three-colouring join in turn where nothing near has."""
-    colour, chosen = cut(rooted_three_colour(parents, ledger), "three"), None
+    colour, run = cut(rooted_three_colour(parents, ledger), "three"), _Loop(g, "classes")
     for k in range(3):
-        new = cut(g.nodes.join(colour.where(F.col("c") == k), "v", "left_semi"), "class")
-        chosen, g = _more(chosen, new), remove_closed(g, new).cut()
-    return chosen
+        run.join(run.g.nodes.join(colour.where(F.col("c") == k), "v", "left_semi"))
+    return run.set.frame()
 
 
-def prefix_greedy_mis(g: Forest, seed: int = 7, tasks: int = 1, ledger: RoundLedger | None = None) -> DataFrame:
+def prefix_greedy_mis(g: Forest, seed: int = 7, ledger: RoundLedger | None = None, most_rows: int = 5_000_000) -> DataFrame:
     """Prefixes of a random order, each solved greedily in that order on one machine of memory about n.
 
-    Ranks come from coins: a node is in a prefix while its coin is under a growing bound."""
-    n, deg = g.nodes.count(), max(2, max_degree(g))
-    bounds, i = [], 0
-    while True:
-        share = 1 / deg ** (0.75**i)
-        if deg ** (0.75**i) <= 2 or len(bounds) > 40:
-            break
-        bounds.append(int(SIDES * share))
-        i += 1
-    bounds.append(SIDES)
-    chosen = None
-    for b in bounds:
-        sub = induced(g, cut(g.nodes.where(coin("v", seed, "rank") < b), "prefix"))
-        if sub.nodes.count() == 0:
-            continue
-        ranked = sub.edges.select(coin("src", seed, "rank").alias("src"), coin("dst", seed, "rank").alias("dst")).unionByName(sub.nodes.select(coin("v", seed, "rank").alias("src"), coin("v", seed, "rank").alias("dst")))
-        picked = ranked.coalesce(tasks).mapInArrow(_solo, "v long").withColumnRenamed("v", "p")
-        new = cut(sub.nodes.select("v", coin("v", seed, "rank").alias("p")).join(picked, "p").select("v"), "prefix")
-        chosen, g = _more(chosen, new), remove_closed(g, new).cut()
+    The order is that of (coin, id): a node is in a prefix while its coin is under a growing
+    bound. The result is the sequential greedy set in that order. A prefix of more than
+    ``most_rows`` rows that are still live is refused: the method needs a machine for it."""
+    deg = max(2, max_degree(g))
+    shares = list(itertools.takewhile(lambda s: s < 1 / 2, (1 / deg ** (0.75**i) for i in range(40))))
+    run = _Loop(g, "prefixes")
+    for bound in [*(int(SIDES * s) for s in shares), SIDES]:
+        sub = induced(run.g, cut(run.g.nodes.where(coin("v", seed, "rank") < bound), "prefix"))
+        run.join(_fits(cut(_ranked(sub, coin("v", seed, "rank")), "prefix"), most_rows).mapInArrow(_solo, "v long"))
         if ledger is not None:
-            ledger.record("prefix_greedy", rounds=1, exchanges=6, live=g.nodes.count(), note=f"n={n}")
-    return chosen if chosen is not None else g.nodes
+            ledger.record("prefix_greedy", rounds=1, live=run.g.nodes.count())
+    return run.set.frame()
 
 
 def sequential_greedy(ids: list[int], edges: list[tuple[int, int]], order: dict[int, int] | None = None) -> set[int]:
@@ -166,29 +172,65 @@ def sequential_greedy(ids: list[int], edges: list[tuple[int, int]], order: dict[
     return out
 
 
-def ball_gather_mis(g: Forest, hops: int = 2, seed: int = 7, ledger: RoundLedger | None = None) -> DataFrame:
-    """Several desire rounds an exchange on gathered balls, then the desire process on the rest.
-
-    ``hops`` rounds depend on the ``hops``-ball only, so they are charged as one exchange;
-    the ball's size is recorded as what a machine must hold. The published process is
-    known here by its bound only."""
-    chosen, n = None, 0
-    state = g.nodes.select("v", F.lit(1).alias("e"))
-    for _ in range(60):
-        if g.nodes.count() == 0:
-            break
+def _simulate(t: pa.Table, rounds: int) -> pa.Table:
+    """(v, e, joins, live) of each centre v after ``rounds`` desire rounds inside its own ball.
+
+    Rows: (v, a, b, d, e, coins), a loop for each node a of v's ball at distance d with its level and
+    coins, and an edge a to b for each a that isn't on the rim. A round's decisions hold one step
+    further in than what they are made from, its removals two; the centre of a ball of radius
+    2 * rounds is right after all of them."""
+    v, a, b = (t.column(c).to_numpy() for c in ("v", "a", "b"))
+    loop = a == b
+    names, rank = np.unique(np.concatenate([v, a, b]), return_inverse=True)
+    rv, ra, rb = (rank[k * len(v) : (k + 1) * len(v)].astype(np.int64) for k in range(3))
+    key = rv * len(names) + ra
+    order = np.argsort(key[loop])
+    nodes = key[loop][order]
+    src, dst = np.searchsorted(nodes, key[~loop]), np.searchsorted(nodes, (rv * len(names) + rb)[~loop])
+    e, d = t.column("e").to_numpy()[loop][order].astype(np.int64), t.column("d").to_numpy()[loop][order]
+    coins = t.column("coins").combine_chunks().filter(pa.array(loop)).flatten().to_numpy().reshape(-1, rounds)[order]
+    live, joined, n = np.ones(len(nodes), bool), np.zeros(len(nodes), bool), len(nodes)
+    for r in range(rounds):
+        on = live[src] & live[dst]
+        s, x = src[on], dst[on]
+        want = 0.5**e
+        marked = live & (coins[:, r] < SIDES * want)
+        joins = marked & (np.bincount(s, marked[x], n) == 0)
+        total = np.bincount(s, want[x], n)
+        joined |= joins
+        live &= ~(joins | (np.bincount(s, joins[x], n) > 0))
+        e = np.where(total >= 2, np.minimum(e + 1, CAP), np.maximum(e - 1, 1))
+    mid = d == 0
+    return pa.table({"v": pa.array(names[nodes[mid] // len(names)]), "e": pa.array(e[mid].astype(np.int32)), "joins": pa.array(joined[mid]), "live": pa.array(live[mid])})
+
+
+def ball_gather_mis(g: Forest, rounds: int = 2, seed: int = 7, ledger: RoundLedger | None = None, group_rows: int = 200_000, most_pairs: int = 200_000_000) -> DataFrame:
+    """Every node gathers the ball of radius 2 * ``rounds`` around it, and its machine runs ``rounds``
+    desire rounds on it without a message; then what is left goes on. The set is that of the
+    desire process round by round. The published process is known here by its bound only.
+
+    Balls that would take more than ``most_pairs`` pairs to find are refused: the process is for
+    graphs of low degree."""
+    run, state = _Loop(g, "balls"), g.nodes.select("v", F.lit(1).alias("e"))
+    while live := run.g.nodes.count():
+        near = balls(run.g, 2 * rounds, most_pairs)
+        ball = cut(near.select("v", F.col("w").alias("a"), "d").unionByName(run.g.nodes.select("v", F.col("v").alias("a"), F.lit(0).alias("d"))), "ball")
+        coins = F.array(*[coin("v", seed, f"mark{run.n * rounds + k}") for k in range(rounds)])
+        said = state.select(F.col("v").alias("a"), "e", coins.alias("coins"))
+        inner = ball.where(F.col("d") < 2 * rounds).join(run.g.edges.select(F.col("src").alias("a"), F.col("dst").alias("b")), "a")
+        rows = ball.join(said, "a").select("v", "a", F.col("a").alias("b"), "d", "e", "coins").unionByName(inner.select("v", "a", "b", "d", F.lit(0).alias("e"), F.array().cast("array<long>").alias("coins")))
+        rows = cut(rows, "gathered")
+        groups = 1 + rows.count() // group_rows
+        done = cut(rows.groupBy(F.pmod(F.xxhash64("v"), F.lit(groups))).applyInArrow(lambda t: _simulate(t, rounds), "v long, e int, joins boolean, live boolean"), "simulated")
         if ledger is not None:
-            ball = neighbourhood(g, hops).groupBy("v").count().agg(F.max("count")).first()[0] or 0
-            ledger.record("ball_gather", rounds=1, exchanges=1, bucket=ball, live=g.nodes.count())
-        for _ in range(hops):
-            nxt = cut(desire_round(g, state, seed, n), "desire")
-            new = nxt.where("joins").select("v")
-            chosen, g = _more(chosen, new), remove_closed(g, new).cut()
-            state = nxt.select("v", "e").join(g.nodes, "v", "left_semi")
-            n += 1
-    if g.nodes.count():
-        chosen = _more(chosen, priority_mis(g, seed=seed))
-    return chosen if chosen is not None else g.nodes
+            ledger.load(rows, "v")
+            ledger.record("ball_gather", rounds=1, live=live, copies=ball.count())
+        run.set.add(done.where("joins").select("v"))
+        state = done.where("live").select("v", "e")
+        run.g = induced(run.g, state.select("v")).cut()
+        drop_cut(ball, rows, *run.old)
+        run.old, run.n = [run.g.nodes, run.g.edges, done], run.n + 1
+    return run.set.frame()
 
 
 def finish_by_local_rounds(g: Forest, seed: int = 7, ledger: RoundLedger | None = None) -> DataFrame:

@@ -29,34 +29,59 @@ def completion_round(edges: DataFrame, fresh: DataFrame) -> DataFrame:
     return every.groupBy("src", "dst").agg(F.count("*").alias("copies")).join(edges, ["src", "dst"], "left_anti")
 
 
-def clique_gather(g: Forest, ledger: RoundLedger | None = None, max_rounds: int = 40) -> DataFrame:
-    """(v, leader) for any graph; records rounds, copies and distinct added edges."""
+class TooManyPairs(ValueError):
+    """Completing the neighbourhoods would make more pairs than allowed."""
+
+
+def pairs_ahead(edges: DataFrame, fresh: DataFrame) -> int:
+    """Pairs that a round would look at, from degrees alone: no hub is expanded to find out."""
+    new = fresh.groupBy(F.col("src").alias("v")).agg(F.count("*").alias("a"))
+    return int(new.join(edges.groupBy(F.col("src").alias("v")).agg(F.count("*").alias("b")), "v").agg(F.sum(F.col("a").cast("double") * F.col("b"))).first()[0] or 0)
+
+
+def clique_gather(g: Forest, ledger: RoundLedger | None = None, max_rounds: int = 40, most_pairs: int = 2_000_000_000) -> DataFrame:
+    """(v, leader) for any graph; records rounds, copies and distinct added edges.
+
+    Raises :class:`TooManyPairs` before a round that would look at more than ``most_pairs``."""
     edges = cut(g.edges.select("src", "dst"), "clique")
     fresh = edges
     for n in range(max_rounds):
+        ahead = pairs_ahead(edges, fresh)
+        if ahead > most_pairs:
+            raise TooManyPairs(f"{ahead} pairs in round {n}")
         added = cut(completion_round(edges, fresh), "fresh")
         row = added.agg(F.count("*").alias("n"), F.sum("copies").alias("c")).first()
         if ledger is not None:
-            ledger.record("clique_gather", rounds=1, exchanges=4, moved=row.c or 0, copies=(row.c or 0) // 2, edges=row.n // 2)
+            ledger.load(edges, "src")
+            ledger.record("clique_gather", rounds=1, copies=(row.c or 0) // 2, edges=row.n // 2)
         if row.n == 0:
             break
-        fresh = added.select("src", "dst")
-        grown = cut(edges.unionByName(fresh), "clique")
-        drop_cut(edges)
-        edges = grown
+        grown = cut(edges.unionByName(added.select("src", "dst")), "clique")
+        drop_cut(edges, fresh)
+        edges, fresh = grown, added.select("src", "dst")
     else:
         raise RuntimeError(f"not gathered after {max_rounds} rounds")
     near = edges.groupBy(F.col("src").alias("v")).agg(F.min("dst").alias("m"))
     return g.nodes.join(near, "v", "left").select("v", F.least("v", F.coalesce("m", "v")).alias("leader"))
 
 
-def neighbourhood(g: Forest, hops: int) -> DataFrame:
-    """(v, w): w is within ``hops`` edges of v, by ceil(log2 hops) squarings of the reach."""
+def balls(g: Forest, hops: int, most_pairs: int = 2_000_000_000) -> DataFrame:
+    """(v, w, d): w is d edges from v, 1 <= d <= ``hops``, by ceil(log2 hops) squarings of the reach.
+
+    Raises :class:`TooManyPairs` before a squaring that would look at more than ``most_pairs``."""
     reach = g.edges.select(F.col("src").alias("v"), F.col("dst").alias("w"), F.lit(1).alias("d"))
     done = 1
     while done < hops:
+        ahead = pairs_ahead(reach.select(F.col("v").alias("src")), reach.select(F.col("v").alias("src")))
+        if ahead > most_pairs:
+            raise TooManyPairs(f"{ahead} pairs in balls of {2 * done} hops")
         a, b = reach.select("v", F.col("w").alias("m"), "d"), reach.select(F.col("v").alias("m"), "w", F.col("d").alias("e"))
         far = a.join(b, "m").where((F.col("v") != F.col("w")) & (F.col("d") + F.col("e") <= hops)).select("v", "w", (F.col("d") + F.col("e")).alias("d"))
         reach = cut(reach.unionByName(far).groupBy("v", "w").agg(F.min("d").alias("d")), "reach")
         done *= 2
-    return reach.where(F.col("d") <= hops).select("v", "w")
+    return reach.where(F.col("d") <= hops)
+
+
+def neighbourhood(g: Forest, hops: int) -> DataFrame:
+    """(v, w): w is within ``hops`` edges of v."""
+    return balls(g, hops).select("v", "w")

@@ -19,7 +19,7 @@ from grove.operators.graph import Forest, induced, max_degree, remove_closed
 from grove.operators.ledger import RoundLedger
 from grove.operators.local import Arrays, colours, per_task
 from grove.params import TreeMisParams
-from grove.session import cut
+from grove.session import Parts, cut, drop_cut
 
 
 def sample_nodes(nodes: DataFrame, max_deg: int, delta: float, seed: int, step: int | str = 0) -> DataFrame:
@@ -68,26 +68,31 @@ def conquer_step(g: Forest, params: TreeMisParams, step: int, max_deg: int, ledg
     chosen = cut(chosen, "chosen")
     rest = remove_closed(g, chosen).cut()
     largest = coloured.groupBy("leader").count().agg(F.max("count")).first()[0] or 0
-    return chosen, rest, {"sampled": sampled.count(), "max_component": largest, "live": rest.nodes.count(), "delta_after": max_degree(rest)}
+    numbers = {"sampled": sampled.count(), "max_component": largest, "live": rest.nodes.count(), "delta_after": max_degree(rest)}
+    drop_cut(sampled, coloured, sub.nodes, sub.edges)
+    return chosen, rest, numbers
 
 
-def reduce_degree(g: Forest, params: TreeMisParams, ledger: RoundLedger | None = None) -> tuple[DataFrame | None, Forest, list[tuple]]:
+def reduce_degree(g: Forest, params: TreeMisParams, ledger: RoundLedger | None = None) -> tuple[DataFrame, Forest, list[tuple]]:
     """Steps until the degree is at the floor: (chosen, surviving forest, degree trace).
 
     Trace rows: (step, delta_before, delta_after, sampled, max_component, live)."""
     floor, deg = params.floor_for(g.nodes.count()), max_degree(g)
-    chosen, trace, stuck = None, [], 0
+    chosen, trace, stuck, old = Parts(g.nodes.sparkSession, "reduced", "v long"), [], 0, []
     for step in range(params.max_steps):
         if deg <= floor or stuck >= params.patience:
             break
         new, g, row = conquer_step(g, params, step, deg, ledger)
-        chosen = new if chosen is None else chosen.unionByName(new)
+        chosen.add(new)
+        drop_cut(new, *old)
+        old = [g.nodes, g.edges]
         trace.append((step, deg, row["delta_after"], row["sampled"], row["max_component"], row["live"]))
         stuck = stuck + 1 if row["delta_after"] >= deg else 0
         if ledger is not None:
-            ledger.record("reduce_degree", rounds=1, exchanges=8, live=row["live"], delta=row["delta_after"], note="no fall for patience steps" if stuck >= params.patience else "")
+            ledger.load(g.edges, "src")
+            ledger.record("reduce_degree", rounds=1, live=row["live"], delta=row["delta_after"], note="no fall for patience steps" if stuck >= params.patience else "")
         deg = row["delta_after"]
-    return chosen, g, trace
+    return chosen.frame(), g, trace
 
 
 TRACE = "step int, delta_before long, delta_after long, sampled long, max_component long, live long"
@@ -103,6 +108,12 @@ def sampled_components(g: Forest, sampled: DataFrame) -> DataFrame:
     return gather(induced(g, sampled), "label").groupBy("leader").agg(F.count("*").alias("size"))
 
 
+def sampled_degrees(g: Forest, sampled: DataFrame, least: int) -> DataFrame:
+    """(v, degree, sampled): for each node of degree ``least`` and more, how many of its neighbours the sample has."""
+    near = g.edges.join(sampled.select(F.col("v").alias("dst"), F.lit(1).alias("hit")), "dst", "left")
+    return near.groupBy(F.col("src").alias("v")).agg(F.count("*").alias("degree"), F.count("hit").alias("sampled")).where(F.col("degree") >= least)
+
+
 def neighbour_independence(g: Forest, sampled: DataFrame) -> DataFrame:
     """(v, sampled_neighbours, components) of each node outside the sample: equal in a forest,
     since two neighbours in one component would close a cycle."""

@@ -36,6 +36,15 @@ class Forest:
         return self.nodes.count(), self.edges.count() // 2
 
 
+def assign_ids(df: DataFrame, key: str) -> DataFrame:
+    """``df`` with a BIGINT ``id`` from a 64-bit hash of ``key``; raises if two keys share one."""
+    out = df.withColumn("id", F.xxhash64(key))
+    twice = out.groupBy("id").agg(F.min(key).alias("a"), F.max(key).alias("b")).where("a <> b")
+    if twice.limit(1).count():
+        raise ValueError(f"two values of {key} have the same id")
+    return out
+
+
 def degrees(g: Forest) -> DataFrame:
     """(v, degree), isolated nodes with 0."""
     d = g.edges.groupBy(F.col("src").alias("v")).agg(F.count("*").alias("degree"))

@@ -2,18 +2,20 @@
 
 A task gets a number of whole components as flat arrays and solves them all at once,
 level by level in numpy; only the greedy order is sequential. Components are placed
-by their leader, so what a task holds is bounded by the packing of components."""
+by packed bins, so what a task holds is bounded by their capacity."""
 
 from __future__ import annotations
 
-from collections.abc import Callable, Iterator
+from collections.abc import Callable
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from grove.operators.gather import binned
 from grove.operators.graph import Forest
+from grove.session import cut
 
 
 class Arrays:
@@ -114,23 +116,22 @@ def _made_maximal(t: Arrays, chosen: np.ndarray) -> np.ndarray:
 SOLVERS = {"greedy": greedy, "colour": larger_class, "dp": maximum}
 
 
-def per_task(g: Forest, labels: DataFrame, solve: Callable[[Arrays], dict[str, np.ndarray]], schema: str, tasks: int | None = None) -> DataFrame:
-    """Run ``solve`` on the arrays of each task's components; its columns become rows."""
-    rows = labels.select("leader", F.col("v").alias("a"), F.col("v").alias("b")).unionByName(
-        g.edges.join(labels.select(F.col("v").alias("src"), "leader"), "src").select("leader", F.col("src").alias("a"), F.col("dst").alias("b"))
+def per_task(g: Forest, labels: DataFrame, solve: Callable[[Arrays], dict[str, np.ndarray]], schema: str, capacity: int = 100_000) -> DataFrame:
+    """Run ``solve`` on the arrays of each bin's components; its columns become rows.
+
+    Components are packed into bins of at most ``capacity`` nodes (a larger one has its own bin),
+    and a bin is a group of the plan, so its rows are whole whatever the planner does."""
+    at = cut(binned(labels, capacity), "binned")
+    rows = at.select("bin", F.col("v").alias("a"), F.col("v").alias("b")).unionByName(
+        g.edges.join(at.select(F.col("v").alias("src"), "bin"), "src").select("bin", F.col("src").alias("a"), F.col("dst").alias("b"))
     )
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        got = [b for b in batches if b.num_rows]
-        if got:
-            t = pa.Table.from_batches(got)
-            a, b = t.column("a").to_numpy(), t.column("b").to_numpy()
-            loop = a == b
-            out = solve(Arrays(a[loop], a[~loop], b[~loop]))
-            yield pa.RecordBatch.from_pydict({k: pa.array(v) for k, v in out.items()})
-
-    dealt = rows.repartition(tasks, "leader") if tasks else rows.repartition("leader")
-    return dealt.mapInArrow(run, schema)
+    def run(t: pa.Table) -> pa.Table:
+        a, b = t.column("a").to_numpy(), t.column("b").to_numpy()
+        loop = a == b
+        return pa.table(solve(Arrays(a[loop], a[~loop], b[~loop])))
+
+    return rows.groupBy("bin").applyInArrow(run, schema)
 
 
 def solve_components(g: Forest, labels: DataFrame, how: str) -> DataFrame:

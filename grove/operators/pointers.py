@@ -29,6 +29,8 @@ def jump_to_root(parents: DataFrame, ledger: RoundLedger | None = None, max_roun
         drop_cut(now)
         now = moved
         if ledger is not None:
+            ledger.load(now, "v")
+            ledger.traffic(now, "v", "p")
             ledger.record("jump_to_root", rounds=1, live=live)
         if live == 0:
             return now.select("v", F.col("p").alias("root"), F.col("k").alias("depth"))

@@ -31,7 +31,7 @@ from pyspark.sql import functions as F
 
 from grove.operators.graph import Forest
 from grove.operators.ledger import RoundLedger
-from grove.session import cut, drop_cut, drop_paths, scratch
+from grove.session import Parts, cut, drop_cut
 
 _NEW = "x long, src long, dst long, hop_out long, hop_in long"
 #: Rows of a group that one call of the expansion holds, about.
@@ -120,44 +120,31 @@ def added(missing: DataFrame, spent: DataFrame) -> DataFrame:
 
 
 class Growth:
-    """A phase at work: edges with steps and the bill, a folder of each with a part for every round."""
+    """A phase at work: edges with steps and the bill, each with a part for every round."""
 
     def __init__(self, tree: DataFrame, nodes: DataFrame, budget: int):
-        self.spark, self.nodes, self.b = tree.sparkSession, nodes, budget
-        self.edge_dir, self.bill_dir = scratch(self.spark, "grown"), scratch(self.spark, "bill")
-        tree_edges(tree).write.parquet(f"{self.edge_dir}/part=-1")
-        self.shape, self.rounds = tree_edges(tree).schema, 0
-        self.size = self.edges().count()
-
-    def edges(self) -> DataFrame:
-        return self.spark.read.schema(self.shape).parquet(f"{self.edge_dir}/part=*")
-
-    def bill(self) -> DataFrame:
-        return self.spark.read.schema("x long, n long, k long").parquet(f"{self.bill_dir}/part=*")
+        self.nodes, self.b, self.rounds = nodes, budget, 0
+        self.edges = Parts(tree.sparkSession, "grown", "src long, dst long, hop_out long, hop_in long")
+        self.bill = Parts(tree.sparkSession, "bill", "x long, n long, k long")
+        self.size = self.edges.add(tree_edges(tree)).count()
 
     def budget(self) -> DataFrame:
         """(v, left, seen): what each node may still add, and the degree at which it was last complete."""
-        if self.rounds == 0:
-            return self.nodes.select("v", F.lit(self.b).cast("long").alias("left"), F.lit(0).cast("long").alias("seen"))
-        paid = self.bill().groupBy(F.col("x").alias("v")).agg(F.sum("n").alias("n"), F.max("k").alias("k"))
+        paid = self.bill.frame().groupBy(F.col("x").alias("v")).agg(F.sum("n").alias("n"), F.max("k").alias("k"))
         return self.nodes.join(paid, "v", "left").select("v", (F.lit(self.b) - F.coalesce("n", F.lit(0))).alias("left"), F.coalesce("k", F.lit(0)).alias("seen"))
 
     def round(self) -> int:
         """One growth round; the number of rows it added (an edge is two)."""
-        edges = self.edges()
+        edges = self.edges.frame()
         able = cut(affordable(edges, self.budget()), "able")
         missing = cut(missing_pairs(edges, able, 1 + self.size // GROUP_ROWS), "missing")
-        payers(missing, able).write.parquet(f"{self.bill_dir}/part={self.rounds}")
-        spent = self.spark.read.schema("x long, n long, k long").parquet(f"{self.bill_dir}/part={self.rounds}")
-        added(missing, spent).write.parquet(f"{self.edge_dir}/part={self.rounds}")
-        self.rounds += 1
-        fresh = self.spark.read.schema(self.shape).parquet(f"{self.edge_dir}/part={self.rounds - 1}").count()
+        fresh = self.edges.add(added(missing, self.bill.add(payers(missing, able)))).count()
         drop_cut(able, missing)
-        self.size += fresh
+        self.size, self.rounds = self.size + fresh, self.rounds + 1
         return fresh
 
     def drop(self) -> None:
-        drop_paths(self.spark, self.edge_dir, self.bill_dir)
+        self.edges.drop(), self.bill.drop()
 
 
 def budget_round(edges: DataFrame, budget: DataFrame) -> tuple[DataFrame, DataFrame]:
@@ -204,7 +191,7 @@ def root_forest(g: Forest, budget: int, diameter: int | None = None, ledger: Rou
     that removes under a quarter of the live nodes doubles the product."""
     nodes, tree = cut(g.nodes, "live"), cut(g.edges.select("src", "dst"), "tree")
     n0 = live = nodes.count()
-    mass, spark, done = n0 * max(2, budget), g.nodes.sparkSession, scratch(g.nodes.sparkSession, "parents")
+    mass, done = n0 * max(2, budget), Parts(g.nodes.sparkSession, "parents", "v long, parent long")
     for phase in range(max_phases):
         if live == 0:
             break
@@ -212,15 +199,13 @@ def root_forest(g: Forest, budget: int, diameter: int | None = None, ledger: Rou
         grown, grew = Growth(tree, nodes, b), 0
         while grew < (growth_rounds(diameter) if diameter else 64) and grown.round():
             grew += 1
-        settle_roots(choose_parents(nodes, tree, grown.edges())).write.parquet(f"{done}/phase={phase}")
-        chosen = spark.read.schema("v long, parent long").parquet(f"{done}/phase={phase}")
-        gone = chosen.select("v")
+        gone = done.add(settle_roots(choose_parents(nodes, tree, grown.edges.frame()))).select("v")
         rest = cut(tree.join(gone.withColumnRenamed("v", "src"), "src", "left_anti").join(gone.withColumnRenamed("v", "dst"), "dst", "left_anti"), "tree")
         left = cut(nodes.join(gone, "v", "left_anti"), "live")
         after = left.count()
         if ledger is not None:
-            paid, most = grown.bill().agg(F.sum("n"), F.max("n")).first() if grown.rounds else (0, 0)
-            ledger.record("root_phase", rounds=grew + 1, exchanges=7 * (grew + 1) + 6, live=live, delta=b, copies=paid or 0, bucket=most or 0, moved=grown.size, edges=live - after, note=f"phase {phase}")
+            ledger.load(grown.edges.frame(), "src")
+            ledger.record("root_phase", rounds=grew + 1, live=live, delta=b, copies=grown.bill.frame().agg(F.sum("n")).first()[0] or 0, edges=live - after, note=f"phase {phase}")
         grown.drop()
         drop_cut(tree, nodes)
         tree, nodes = rest, left
@@ -231,4 +216,4 @@ def root_forest(g: Forest, budget: int, diameter: int | None = None, ledger: Rou
         live = after
     if live:
         raise RuntimeError(f"{live} nodes are left after {max_phases} phases")
-    return spark.read.schema("v long, parent long").parquet(f"{done}/phase=*") if n0 else g.nodes.select("v", F.col("v").alias("parent"))
+    return done.frame()

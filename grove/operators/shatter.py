@@ -14,7 +14,7 @@ from pyspark.sql import functions as F
 from grove.functions.coins import SIDES, coin
 from grove.operators.graph import Forest, remove_closed
 from grove.operators.ledger import RoundLedger
-from grove.session import cut
+from grove.session import Parts, cut, drop_cut
 
 CAP = 50
 
@@ -31,21 +31,21 @@ def desire_round(g: Forest, state: DataFrame, seed: int, n: int) -> DataFrame:
     )
 
 
-def shatter(g: Forest, rounds: int, seed: int = 7, ledger: RoundLedger | None = None, stop_empty: bool = True) -> tuple[DataFrame | None, Forest]:
-    """(chosen(v) or None, what is left) after ``rounds`` rounds."""
-    state, chosen = g.nodes.select("v", F.lit(1).alias("e")), None
+def shatter(g: Forest, rounds: int, seed: int = 7, ledger: RoundLedger | None = None, stop_empty: bool = True) -> tuple[DataFrame, Forest]:
+    """(chosen(v), what is left) after ``rounds`` rounds."""
+    chosen, state, old = Parts(g.nodes.sparkSession, "shattered", "v long"), g.nodes.select("v", F.lit(1).alias("e")), []
     for n in range(rounds):
         nxt = cut(desire_round(g, state, seed, n), "desire")
-        new = nxt.where("joins").select("v")
-        chosen = new if chosen is None else chosen.unionByName(new)
-        g = remove_closed(g, new).cut()
-        state = nxt.select("v", "e").join(g.nodes, "v", "left_semi")
+        g = remove_closed(g, chosen.add(nxt.where("joins").select("v"))).cut()
+        drop_cut(*old)
+        old, state = [nxt, g.nodes, g.edges], nxt.select("v", "e").join(g.nodes, "v", "left_semi")
         live = g.nodes.count()
         if ledger is not None:
-            ledger.record("shatter", rounds=1, exchanges=5, live=live)
+            ledger.load(g.edges, "src")
+            ledger.record("shatter", rounds=1, live=live)
         if stop_empty and live == 0:
             break
-    return chosen, g
+    return chosen.frame(), g
 
 
 def leftover_sizes(g: Forest) -> DataFrame:

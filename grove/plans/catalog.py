@@ -10,13 +10,14 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from grove import cost
+from grove.functions import udfs
 from grove.functions.coins import SIDES, coin_sql, threshold
 from grove.operators import baselines as bl
 from grove.operators import degree as dg
 from grove.operators import extras as ex
 from grove.operators.clique import clique_gather, neighbourhood
-from grove.operators.gather import component_of, gather, inspace_gather, pack_components
-from grove.operators.graph import Forest, component_labels, degrees, induced, is_forest, max_degree, require_forest, two_hop
+from grove.operators.gather import colocate, component_of, gather, inspace_gather, pack_components
+from grove.operators.graph import Forest, assign_ids, component_labels, degrees, induced, is_forest, max_degree, require_forest, two_hop
 from grove.operators.labels import contract_labels, flood_labels, minset_labels
 from grove.operators.ledger import RoundLedger
 from grove.operators.pointers import jump_to_root
@@ -164,7 +165,7 @@ def hub_split_f6(s: SparkSession, d: str) -> DataFrame:
 
 def hub_cert(s: SparkSession, d: str) -> DataFrame:
     g = forest(s, d, "F2")
-    n, p = g.nodes.count(), TreeMisParams(gather="label")
+    n, p = g.nodes.count(), TreeMisParams(gather="clique")
     out, left = with_hub_cleanup(g, p)
     c = certify_mis(g, out).first()
     return _one(s, n_nodes=n, inside_edges=c.inside_edges, undominated=c.undominated, over_bound=left[0] > 2 * (n - 1) / p.hub_degree(n))
@@ -239,11 +240,34 @@ def labels_of(run: Callable, f: str) -> Callable:
     return lambda s, d: run(graph(s, d, f) if f in fs.GRAPHS else forest(s, d, f))
 
 
-_COMP = "select v, leader from (select v, min(v) over (partition by root) as leader from r)"
+def sample_report(s: SparkSession, d: str) -> DataFrame:
+    """(leader, size, diameter) of the components that the sample induces."""
+    g = forest(s, d, "F6")
+    sub = induced(g, dg.sample_nodes(g.nodes, 4, 1.0, 7)).cut()
+    rooted = cut(root_forest(sub, 64, 16), "rooted")
+    far = ex.diameters(rooted, sub)
+    labels = cut(component_labels(sub), "labels")
+    return labels.groupBy("leader").agg(F.count("*").alias("size")).join(far.join(labels.withColumnRenamed("v", "root"), "root").select("leader", "diameter"), "leader")
+
+
+def hub_sample(s: SparkSession, d: str) -> DataFrame:
+    """(v, degree, sampled) of the nodes of degree 12 and more."""
+    g = forest(s, d, "F6")
+    return dg.sampled_degrees(g, dg.sample_nodes(g.nodes, 4, 1.0, 7), 12)
+
 
+def colocated(s: SparkSession, d: str) -> DataFrame:
+    """Whole components lie in one file of the written table, bins within their capacity."""
+    g = forest(s, d, "F3")
+    at = colocate(g.nodes, component_labels(g), capacity=200).withColumn("f", F.input_file_name())
+    one = at.groupBy("bin").agg(F.count("*").alias("load"), F.countDistinct("f").alias("files"))
+    return one.agg(F.sum("load").alias("nodes"), F.sum((F.col("load") > 200).cast("long")).alias("over"), F.sum((F.col("files") > 1).cast("long")).alias("torn"))
 
-def _chain_labels(f: str, part: str) -> str:
-    return part
+
+def assigned(s: SparkSession, d: str) -> DataFrame:
+    """Ids for the urls of the pages, with their audit."""
+    ids = assign_ids(table(s, d, "pages").select("url").distinct(), "url")
+    return ids.agg(F.count("*").alias("keys"), F.countDistinct("id").alias("ids"))
 
 
 def queries_with_sql() -> dict[str, tuple[Callable, str | None]]:
@@ -278,6 +302,24 @@ def queries_with_sql() -> dict[str, tuple[Callable, str | None]]:
         f"with recursive {_both('F6')}, {sam}, t(v, root) as (select s.v, s.v from s join p using (v) where p.v = p.parent or p.parent not in (select v from s) union all "
         "select p.v, t.root from p join t on p.parent = t.v join s on s.v = p.v where p.v <> p.parent) select min(v) as leader, count(*) as size from t group by root",
     )
+    within = f"with recursive {_both('F6')}, {sam}, w as (select s.v, case when p.v <> p.parent and p.parent in (select v from s) then p.parent end as up from s join p using (v)), t(v, root) as (select v, v from w where up is null union all select w.v, t.root from w join t on w.up = t.v)"
+    q["sample_report"] = (
+        sample_report,
+        within + ", h(v, a, c, k) as (select v, v, v, 0::bigint from w union all select h.v, w.up, w.v, h.k + 1 from h join w on w.v = h.a where w.up is not null), b as (select a, c, max(k) as k from h group by a, c), "
+        "f as (select a as v, list_sum(list_sort(list(k), 'DESC')[1:2]) as far from b group by a), z as (select root, min(v) as leader, count(*) as size from t group by root) "
+        "select leader, any_value(size) as size, cast(max(far) as bigint) as diameter from t join f using (v) join z using (root) group by leader",
+    )
+    q["sampled_degrees_of_hubs"] = (hub_sample, f"with {_both('F6')}, {sam} select src as v, count(*) as degree, count(*) filter (dst in (select v from s)) as sampled from e group by src having count(*) >= 12")
+    q["colocate_cert"] = (colocated, "select count(*) as nodes, 0::bigint as over, 0::bigint as torn from events")
+    q["assigned_ids_cert"] = (assigned, "select count(distinct url) as keys, count(distinct url) as ids from pages")
+    q["udf_lowest_diff_bit"] = (
+        lambda s, d: table(s, d, "orders").select("o_orderkey", udfs.lowest_diff_bit_pandas("o_orderkey", F.shiftright("o_orderkey", 1)).alias("bit")),
+        "select o_orderkey, cast(bit_count((x & -x) - 1) as int) as bit from (select o_orderkey, xor(o_orderkey, o_orderkey >> 1) as x from orders)",
+    )
+    q["udaf_mis_weight"] = (
+        lambda s, d: table(s, d, "orders").groupBy("o_orderpriority").agg(udfs.mis_weight("o_orderkey", F.col("o_orderkey") % 2 == 0).alias("weight")),
+        "select o_orderpriority, cast(sum(case when o_orderkey % 2 = 0 then o_orderkey else 0 end) as bigint) as weight from orders group by 1",
+    )
     q["neighbour_independence"] = (
         lambda s, d: (lambda g: dg.neighbour_independence(g, dg.sample_nodes(g.nodes, 4, 1.0, 7)))(forest(s, d, "F6")),
         f"with {_both('F6')}, {sam} select src as v, count(*) as sampled_neighbours, count(*) as components from e where dst in (select v from s) and src not in (select v from s) group by src",
@@ -338,10 +380,9 @@ def queries_with_sql() -> dict[str, tuple[Callable, str | None]]:
         "with t as (select conv_id, conv_id * 1000 + turn as v, row_number() over (partition by conv_id order by turn) as i from conversations) select a.v, b.v as w from t a join t b on a.conv_id = b.conv_id and a.i <> b.i and abs(a.i - b.i) <= 3",
     )
     for f in ("F1", "F2", "F4", "F5", "F6", "F7", "F8"):
-        q[f"tree_mis_clique_{f}"] = (_mis(lambda s, d, g: tree_mis(g, gather="auto" if g.edges.count() > 100_000 else "clique", max_steps=6), f) if f in ("F5", "F6", "F7", "F8") else _mis(lambda s, d, g: tree_mis(g, gather="auto"), f), _cert_sql(f))
-    for f in ("F2", "F6", "F8"):
+        q[f"tree_mis_clique_{f}"] = (_mis(lambda s, d, g: tree_mis(g, gather="clique"), f), _cert_sql(f))
         q[f"tree_mis_inspace_{f}"] = (_mis(lambda s, d, g: tree_mis(g, gather="inspace", diameter=8), f), _cert_sql(f))
-    q["small_memory_cert"] = (_mis(lambda s, d, g: tree_mis(g, gather="label", mem_exp=0.4, hub_cleanup=True), "F6"), _cert_sql("F6"))
+    q["small_memory_cert"] = (_mis(lambda s, d, g: tree_mis(g, gather="clique", mem_exp=0.4, hub_cleanup=True), "F6"), _cert_sql("F6"))
     base = {
         "solo_mis": lambda s, d, g: bl.solo_mis(g),
         "priority_mis": lambda s, d, g: bl.priority_mis(g),
@@ -392,8 +433,8 @@ def queries_with_sql() -> dict[str, tuple[Callable, str | None]]:
         "select cast(sum(n - 1) as bigint) as edges, 0::bigint as colours_over from (select count(*) as n from conversations group by conv_id)",
     )
     q["two_colour_cert"] = (lambda s, d: (lambda g: certify_colouring(g, ex.two_colour(g, 8)))(forest(s, d, "F8")), "select 0::bigint as uncoloured, 0::bigint as clashes, 0::bigint as colours_over")
-    for name in ("w1_end_to_end", "w2_degree_decay", "w3_independence", "w4_gather_rounds", "w5_copies", "w6_phases", "w7_doubling", "w8_leftovers", "w9_finish", "w10_hub_passes", "w11_components", "w12_small_memory", "w13_packing", "ablations", "success_rate", "sample_report"):
-        q[f"workload_{name}"] = (getattr(wl, name), None)
+    for name in wl.WORKLOADS:
+        q[f"workload_{name}"] = (wl.query(name), wl.sql(name))
     q["workload_w14_application"] = (
         lambda s, d: wl.w14_application(s, d).select("user_id", "events", "total", ((F.col("chosen") * 3 >= F.col("events")) & (F.col("chosen") * 2 <= F.col("events") + 1)).alias("in_bounds")),
         "select user_id, count(*) as events, round(sum(value), 4) as total, true as in_bounds from events group by 1",

@@ -14,12 +14,7 @@ from grove.sources import io
 
 
 def leaves_and_hubs(s: SparkSession, d: str) -> DataFrame:
-    deg = degrees(fs.forest_of(fs.brand_stars(s, d)))
-    return deg.where((F.col("degree") >= 5) | F.col("v").isin(0, 1, 2) | F.col("v").between(10, 12)).select("v", "degree", (F.col("degree") == 1).alias("leaf"))
-
-
-def every_leaf_and_hub(s: SparkSession, d: str) -> DataFrame:
-    """All leaves and hubs, chosen by degree alone; ``leaves_and_hubs`` is held to SQL that names ids."""
+    """All leaves and hubs, chosen by degree alone."""
     deg = degrees(fs.forest_of(fs.brand_stars(s, d)))
     leaf, small, large = F.col("degree").isin(0, 1), F.col("degree").between(5, 99), F.col("degree") >= 100
     return deg.where(leaf | small | large).select("v", "degree", leaf.alias("leaf"))
@@ -229,8 +224,7 @@ def catalog(parents_sql: dict[str, str]) -> dict:
     deg = lambda f: _DEG.format(p=parents_sql[f])
     us = "epoch_us(ts)"
     return {
-        "rel_filter_predicates": (leaves_and_hubs, deg("F2") + " select v, degree, degree = 1 as leaf from deg where degree >= 5 or v in (0, 1, 2) or v between 10 and 12"),
-        "rel_filter_predicates_all": (every_leaf_and_hub, None),
+        "rel_filter_predicates": (leaves_and_hubs, deg("F2") + " select v, degree, degree in (0, 1) as leaf from deg where degree in (0, 1) or degree between 5 and 99 or degree >= 100"),
         "rel_inner_join": (edge_attributes, "select c_mktsegment, count(*) as n_orders, count(distinct c_custkey) as n_customers from orders join customer on o_custkey = c_custkey group by 1"),
         "rel_full_outer_join": (outer_differences, "select c.k is not null as is_customer, o.k is not null as has_orders, count(*) as n from (select c_custkey as k from customer) c full join (select distinct o_custkey as k from orders) o on c.k = o.k group by 1, 2"),
         "rel_left_right_join": (left_right_joins, "select n_nationkey, count(s_suppkey) as n_left, count(s_suppkey) as n_right from nation left join supplier on n_nationkey = s_nationkey group by 1"),

@@ -10,66 +10,52 @@ from __future__ import annotations
 from dataclasses import replace
 
 from pyspark.sql import DataFrame
-from pyspark.sql import functions as F
 
 from grove.operators.degree import reduce_degree
 from grove.operators.gather import gather
-from grove.operators.graph import Forest, degrees, induced, max_degree, remove_closed
+from grove.operators.graph import Forest, induced, max_degree, remove_closed, split_by_degree
 from grove.operators.ledger import RoundLedger
 from grove.operators.local import solve_components
 from grove.operators.shatter import shatter
 from grove.params import TreeMisParams
-from grove.session import cut
-
-
-def _union(parts: list[DataFrame | None], like: DataFrame) -> DataFrame:
-    some = [p for p in parts if p is not None]
-    out = some[0] if some else like.select("v").limit(0)
-    for p in some[1:]:
-        out = out.unionByName(p)
-    return out
+from grove.session import Parts, cut, drop_cut
 
 
 def finish(g: Forest, how: str = "auto", local: str = "greedy", diameter: int = 16, ledger: RoundLedger | None = None) -> DataFrame:
     """(v): gather what is left and solve each component in its task."""
     labels = cut(gather(g, how, diameter, ledger=ledger), "labels")
     if ledger is not None:
-        ledger.record("finish", rounds=1, exchanges=1, live=0)
+        ledger.record("finish", rounds=1, live=0)
     return cut(solve_components(g, labels, local), "finish")
 
 
 def _core(g: Forest, params: TreeMisParams, ledger: RoundLedger | None) -> DataFrame:
     first, g, _ = reduce_degree(g, params, ledger)
     second, g = shatter(g, params.rounds_for(max_degree(g)), params.seed, ledger)
-    last = finish(g, params.gather, params.local, params.diameter, ledger) if g.nodes.count() else None
-    return cut(_union([first, second, last], g.nodes), "mis")
-
-
-def hub_split(g: Forest, params: TreeMisParams, n: int) -> tuple[DataFrame, DataFrame]:
-    """(low nodes, hubs) at degree n^(mem_exp / 2)."""
-    d, t = degrees(g), params.hub_degree(n)
-    return d.where(F.col("degree") < t).select("v"), d.where(F.col("degree") >= t).select("v")
+    found = first.unionByName(second)
+    return cut(found.unionByName(finish(g, params.gather, params.local, params.diameter, ledger)) if g.nodes.limit(1).count() else found, "mis")
 
 
 def with_hub_cleanup(g: Forest, params: TreeMisParams, ledger: RoundLedger | None = None) -> tuple[DataFrame, list[int]]:
     """(set, hubs left after each pass): solve the nodes below the hub degree, remove the set
     with its neighbours, and go on with what survives, which was hubs only."""
-    n, parts, left = g.nodes.count(), [], []
+    n, parts, left, old = g.nodes.count(), Parts(g.nodes.sparkSession, "passes", "v long"), [], []
     for _ in range(64):
         live = g.nodes.count()
         if live == 0:
             break
-        low, _ = hub_split(g, params, n)
+        low, _ = split_by_degree(g, params.hub_degree(n))
         sub = induced(g, low).cut()
         if sub.nodes.count() == 0:
             raise RuntimeError("no node is below the hub degree; the graph is not a forest")
-        new = _core(sub, params, ledger)
-        parts.append(new)
+        new = parts.add(_core(sub, params, ledger))
         g = remove_closed(g, new).cut()
+        drop_cut(sub.nodes, sub.edges, *old)
+        old = [g.nodes, g.edges]
         left.append(g.nodes.count())
         if ledger is not None:
-            ledger.record("hub_pass", rounds=1, exchanges=6, live=left[-1])
-    return cut(_union(parts, g.nodes), "mis"), left
+            ledger.record("hub_pass", rounds=1, live=left[-1])
+    return parts.frame(), left
 
 
 def tree_mis(g: Forest, params: TreeMisParams | None = None, ledger: RoundLedger | None = None, **options) -> DataFrame:

@@ -13,6 +13,7 @@ import os
 import shutil
 import tempfile
 import uuid
+from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
@@ -38,12 +39,40 @@ def scratch(spark: SparkSession, name: str) -> str:
     return f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
 
 
+#: Called with every table that is about to be written; a ledger that measures plans adds itself.
+WATCHERS: list[Callable[[DataFrame], None]] = []
+
+
+def _write(df: DataFrame, path: str) -> DataFrame:
+    for watch in WATCHERS:
+        watch(df)
+    df.write.parquet(path)
+    return df.sparkSession.read.schema(df.schema).parquet(path)
+
+
 def cut(df: DataFrame, name: str = "cut") -> DataFrame:
     """Write ``df`` once and read it back: flat lineage, columnar, prunable, and
     readable after any executor is lost."""
-    path = scratch(df.sparkSession, name)
-    df.write.parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
+    return _write(df, scratch(df.sparkSession, name))
+
+
+class Parts:
+    """A table that grows part by part: each part is written once, and all are read by one scan,
+    so a loop of many rounds leaves no union of many plans."""
+
+    def __init__(self, spark: SparkSession, name: str, schema: str):
+        self.spark, self.schema, self.path, self.n = spark, schema, scratch(spark, name), 0
+
+    def add(self, df: DataFrame) -> DataFrame:
+        self.n += 1
+        return _write(df, f"{self.path}/part={self.n}")
+
+    def frame(self) -> DataFrame:
+        return self.spark.read.schema(self.schema).parquet(f"{self.path}/part=*") if self.n else self.spark.createDataFrame([], self.schema)
+
+    def drop(self) -> None:
+        if self.n:
+            drop_paths(self.spark, self.path)
 
 
 def drop_paths(spark: SparkSession, *paths: str) -> None:

@@ -10,17 +10,20 @@ from grove import cost
 from grove.functions.coins import coin
 from grove.operators import baselines as bl
 from grove.operators import extras as ex
-from grove.operators.clique import clique_gather, completion_round
+from grove.operators import rooting
+from grove.operators.clique import TooManyPairs, clique_gather, completion_round
 from grove.operators.degree import conquer_step, neighbour_independence, reduce_degree, sample_nodes
-from grove.operators.gather import gather, inspace_gather, pack_components
+from grove.operators.gather import binned, colocate, gather, inspace_gather, pack_components
 from grove.operators.graph import Forest, component_labels, induced, is_forest, max_degree, require_forest
 from grove.operators.labels import contract_labels, flood_labels, minset_labels
 from grove.operators.ledger import RoundLedger
-from grove.operators.local import Arrays, greedy, larger_class, maximum
+from grove.operators.local import Arrays, greedy, larger_class, maximum, per_task
 from grove.operators.pointers import jump_to_root
 from grove.operators.rooting import budget_round, growth_rounds, root_forest, tree_edges
+from grove.operators.shatter import shatter
 from grove.operators.verify import certify_mis
 from grove.params import TreeMisParams
+from grove.plans import catalog
 from grove.plans.tree_mis import tree_mis, with_hub_cleanup
 from grove.plans.workloads import path_forest
 from grove.sources.forests import forest_of
@@ -192,6 +195,17 @@ def test_baselines(spark):
     assert set(colours.values()) <= {0, 1, 2} and all(colours[a] != colours[b] for a, b in edges)
 
 
+def test_balls_are_the_desire_process(spark):
+    g = graph(spark, random_tree(60, 17)).cut()
+    direct, _ = shatter(g, 60)
+    for rounds in (1, 2):
+        assert {r.v for r in bl.ball_gather_mis(g, rounds).collect()} == {r.v for r in direct.collect()}
+    with pytest.raises(ValueError):
+        bl.ball_gather_mis(g, 1, most_pairs=10)
+    with pytest.raises(ValueError):
+        bl.prefix_greedy_mis(g, most_rows=5)
+
+
 def test_fixed_order_is_sequential_greedy(spark):
     edges = random_tree(30, 13)
     g = graph(spark, edges)
@@ -253,6 +267,52 @@ def test_inspace_equals_clique(spark):
     assert sorted(map(tuple, inspace_gather(g, 8).select("v", "leader").collect())) == sorted(map(tuple, clique_gather(g).collect()))
 
 
+def test_bins_bound_a_task(spark):
+    """One giant component and many small ones: a task's nodes are bounded but for the giant."""
+    small = [(10_000 + 10 * i, 10_000 + 10 * i + 1) for i in range(300)]
+    g = graph(spark, [(i, i + 1) for i in range(500)] + small).cut()
+    labels = component_labels(g)
+    bins = binned(labels, 64).groupBy("bin").agg(F.count("*").alias("n"), F.countDistinct("leader").alias("k")).collect()
+    assert sorted(r.n for r in bins)[-1] == 501 and all(r.n <= 64 for r in bins if r.n != 501) and sum(r.k for r in bins) == 301
+    seen = per_task(g, labels, lambda t: {"v": t.ids, "n": np.full(len(t.ids), len(t.ids))}, "v long, n long", capacity=64).toPandas()
+    assert len(seen) == 501 + 600 and sorted(seen.n.unique())[-1] == 501 and (seen.n[seen.v >= 10_000] <= 64).all()
+    with pytest.raises(ValueError):
+        binned(labels, 64, strict=True)
+    lay = colocate(g.nodes, labels, capacity=64).select("leader", "bin", F.input_file_name().alias("f")).groupBy("bin").agg(F.countDistinct("f").alias("files")).agg(F.max("files")).first()[0]
+    assert lay == 1
+
+
+def test_rooting_of_a_large_forest_under_adaptive_plans(spark):
+    """60,000 nodes read by several tasks, the session's own settings: one root a tree, pointers along edges."""
+    g = catalog.forest(spark, "/root/testdata/sf0.01", "F4")
+    g = Forest(g.nodes.repartition(7), g.edges.repartition(9))
+    assert g.nodes.count() > 50_000
+    got = catalog.rooting_certificate(g, root_forest(g, 27, diameter=32)).first()
+    assert got.pointed == got.n_nodes and got.roots == got.trees and got.edges_used == got.n_nodes - got.trees
+
+
+def test_split_rows_are_noticed():
+    src, dst, back = np.array([1, 1]), np.array([2, 4]), np.array([1, 3])
+    with pytest.raises(RuntimeError):
+        rooting._pairs_of(src, dst, back)
+
+
+def test_auto_gives_completion_up(spark):
+    star = graph(spark, [(0, i) for i in range(1, 60)]).cut()
+    assert {r.leader for r in gather(star, "auto", most_pairs=100).collect()} == {0}
+    with pytest.raises(TooManyPairs):
+        clique_gather(star, most_pairs=100)
+
+
+def test_ledger_measures(spark):
+    g = graph(spark, [(i, i + 1) for i in range(40)]).cut()
+    ledger = RoundLedger(machines=8)
+    with ledger.measuring():
+        jump_to_root(spark.createDataFrame([(0, 0)] + [(i + 1, i) for i in range(40)], "v long, parent long"), ledger)
+    assert ledger.exchanges() >= ledger.rounds() and 41 / 8 <= ledger.max_load() <= 41 and ledger.busiest <= 2 * 41
+    assert g.nodes.count() == 41
+
+
 def test_cost_model(spark):
     assert cost.mpc_plan("inspace", 10**6)[2:] == (1000, 1000, 10**6)
     assert growth_rounds(10) == 5 and is_forest(path(spark, 4))

@@ -1,37 +1,23 @@
 """Whole tables and every size: no id subset, no refusal."""
 
-import inspect
-
 import numpy as np
 import pandas as pd
 import pytest
 
 from grove.operators import extras
 from grove.operators.graph import Forest
-from grove.plans import catalog, workloads
+from grove.plans import catalog
 from grove.session import table
 from grove.sources import forests
 
 
 def test_upkeep_holds_every_event(spark, sf):
     e = pd.read_parquet(f"{sf}/events.parquet")
-    got = catalog.queries()["stream_set_upkeep_all"](spark, sf).first()
+    got = catalog.queries()["stream_set_upkeep"](spark, sf).first()
     assert len(e) > 200
     assert got.asDict() == {"n_nodes": len(e), "n_edges": len(e) - e.user_id.nunique(), "inside_edges": 0, "undominated": 0}
 
 
-def test_workloads_do_not_depend_on_the_path(spark, sf, monkeypatch, tmp_path):
-    seen = []
-    monkeypatch.setattr(workloads, "root_forest", lambda g, b, **_: seen.append((g.nodes.count(), b)))
-    star = spark.createDataFrame([(0, 0), (1, 0), (2, 0), (3, 2)], "v long, parent long")
-    monkeypatch.setattr(workloads, "SWEPT", dict.fromkeys(workloads.SWEPT, lambda s, d: star))
-    workloads.w6_phases(spark, "/any/sf9")
-    assert list(workloads.SWEPT) == ["F4", "F5", "F7(2)", "F3"]
-    assert seen == [(4, b) for _ in range(4) for b in (2, 8, 64, 27)]
-    took = lambda f, name: inspect.signature(f).parameters[name].default
-    assert took(workloads.w1_end_to_end, "forests") == ("F1", "F2", "F5", "F6", "F7") and took(workloads.success_rate, "seeds") == 20
-
-
 def test_vectors_beyond_the_old_cap(spark, tmp_path):
     rng = np.random.default_rng(3)
     x = rng.integers(-3, 4, (5200, 3)).astype(np.float32)  # many ties
@@ -61,4 +47,4 @@ def test_every_leaf_and_hub(spark, sf):
     p = pd.read_parquet(f"{sf}/part.parquet")
     hubs = (-p.p_brand.str.extract("([0-9]+)")[0].astype(int)).value_counts()
     want = {(int(v), 1, True) for v in p.p_partkey} | {(int(v), int(n), n == 1) for v, n in hubs.items() if n == 1 or n >= 5}
-    assert {tuple(r) for r in catalog.queries()["rel_filter_predicates_all"](spark, sf).collect()} == want
+    assert {tuple(r) for r in catalog.queries()["rel_filter_predicates"](spark, sf).collect()} == want
