@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 from grove.functions.coins import coin
 from grove.operators.graph import Forest, degrees, without
 from grove.operators.gather import inspace_roots
-from grove.session import cut
+from grove.session import cut, drop_cut
 
 
 def line_graph(g: Forest, most: int = 5_000_000, per_edge: int = 1000) -> tuple[DataFrame, Forest]:
@@ -91,6 +91,32 @@ def tree_max_independent_set(parents: DataFrame) -> DataFrame:
     return rooted.select("root", F.lit(0).cast("long").alias("size"))
 
 
+def ancestors(parents: DataFrame, start: DataFrame) -> DataFrame:
+    """``start(v, root)`` with all nodes on the way up to each root, by doubling: ceil(log2 depth) rounds."""
+    up = cut(parents.where("v <> parent").select("v", F.col("parent").alias("p")), "up")
+    path = cut(start.select("v", "root"), "path")
+    while up.limit(1).count():
+        grown = cut(path.unionByName(path.join(up, "v").select(F.col("p").alias("v"), "root")).distinct(), "path")
+        farther = cut(up.join(up.select(F.col("v").alias("p"), F.col("p").alias("pp")), "p").select("v", F.col("pp").alias("p")), "up")
+        drop_cut(path, up)
+        path, up = grown, farther
+    return path
+
+
+def subtree_sizes(parents: DataFrame) -> DataFrame:
+    """(v, size): nodes at and below each. A round adds to the nodes less than 2^k below a node those
+    less than 2^k below the ones exactly 2^k below it: ceil(log2 depth) rounds."""
+    sizes = cut(parents.select("v", F.lit(1).cast("long").alias("size")), "sizes")
+    up = cut(parents.where("v <> parent").select("v", F.col("parent").alias("p")), "up")
+    while up.limit(1).count():
+        below = up.join(sizes, "v").groupBy(F.col("p").alias("v")).agg(F.sum("size").alias("more"))
+        grown = cut(sizes.join(below, "v", "left").select("v", (F.col("size") + F.coalesce("more", F.lit(0))).alias("size")), "sizes")
+        farther = cut(up.join(up.select(F.col("v").alias("p"), F.col("p").alias("pp")), "p").select("v", F.col("pp").alias("p")), "up")
+        drop_cut(sizes, up)
+        sizes, up = grown, farther
+    return sizes
+
+
 def diameters(parents: DataFrame, g: Forest) -> DataFrame:
     """(root, diameter) of each tree: the farthest node from the root, then the farthest from that one."""
     from grove.operators.pointers import jump_to_root
@@ -98,12 +124,7 @@ def diameters(parents: DataFrame, g: Forest) -> DataFrame:
     rooted = cut(jump_to_root(parents), "rooted")
     far = rooted.groupBy("root").agg(F.max(F.struct("depth", "v")).alias("m")).select("root", F.col("m.v").alias("v"))
     # reroot each tree at its far node by reversing the pointers on the path to the old root
-    path, step = cut(far.select("v", "root"), "path"), far.select("v", "root")
-    while True:
-        up = cut(step.join(parents.where("v <> parent"), "v").select(F.col("parent").alias("v"), "root"), "up")
-        if up.count() == 0:
-            break
-        path, step = cut(path.unionByName(up), "path"), up
+    path = ancestors(parents, far.select("v", "root"))
     on = path.select("v", F.lit(1).alias("on"))
     turned = parents.where("v <> parent").join(on, "v", "left").select(F.when(F.col("on") == 1, F.col("parent")).otherwise(F.col("v")).alias("v"), F.when(F.col("on") == 1, F.col("v")).otherwise(F.col("parent")).alias("parent"))
     again = jump_to_root(turned.unionByName(far.select("v", F.col("v").alias("parent"))))

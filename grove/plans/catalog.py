@@ -83,22 +83,6 @@ def flagship(s: SparkSession, d: str) -> DataFrame:
     return jump_to_root(fs.recursive_tree(s, d))
 
 
-def subtree_sizes(parents: DataFrame) -> DataFrame:
-    """(v, size): nodes at and below each, level by level from the deepest, one aggregation each."""
-    rooted = cut(jump_to_root(parents).join(parents, "v"), "levels")
-    top = rooted.agg(F.max("depth")).first()[0] or 0
-    out = below = None
-    for k in range(top, -1, -1):
-        now = rooted.where(F.col("depth") == k).select("v", "parent")
-        if below is None:
-            below = cut(now.withColumn("size", F.lit(1).cast("long")), "sizes")
-        else:
-            up = below.groupBy(F.col("parent").alias("v")).agg(F.sum("size").alias("s"))
-            below = cut(now.join(up, "v", "left").select("v", "parent", (F.lit(1) + F.coalesce("s", F.lit(0))).alias("size")), "sizes")
-        out = below if out is None else out.unionByName(below)
-    return out.select("v", "size")
-
-
 def rooting_certificate(g: Forest, parents: DataFrame) -> DataFrame:
     """(n_nodes, pointed, edges_used, roots, trees): every node points, along tree edges, to one root a tree."""
     at = cut(parents, "parents")
@@ -225,7 +209,7 @@ def bit_round_f5(s: SparkSession, d: str) -> DataFrame:
 
 def small_subtrees(s: SparkSession, d: str) -> DataFrame:
     """For sizes a: nodes with a subtree of at most a, and whether they are at least n a / (depth + a)."""
-    sizes = cut(subtree_sizes(fs.recursive_tree(s, d)), "sizes")
+    sizes = cut(ex.subtree_sizes(fs.recursive_tree(s, d)), "sizes")
     n, top = sizes.count(), jump_to_root(fs.recursive_tree(s, d)).agg(F.max("depth")).first()[0]
     a = s.createDataFrame([(x,) for x in (1, 2, 4, 8, 16, 32)], "a long")
     return sizes.join(a, F.col("size") <= F.col("a")).groupBy("a").agg(F.count("*").alias("small")).select("a", "small", (F.col("small") * (F.col("a") + top) >= F.col("a") * n).alias("enough"))
