@@ -53,6 +53,12 @@ def _spans(df: DataFrame, keep: list[str], masks: list[tuple[int, str]]) -> Data
     return out
 
 
+def _small(digests: DataFrame, most: int) -> DataFrame:
+    """Written, and with a hint to broadcast if there are at most ``most``: else texts would be shuffled to meet a few."""
+    named = cut(digests, "digests")
+    return F.broadcast(named) if named.count() <= most else named
+
+
 def find_leaks(docs: DataFrame, items: DataFrame, masks: tuple[str, ...] = MASKS, window: int = 16, percent: int = 80, max_broadcast: int = 2_000_000) -> DataFrame:
     """(doc_id, digest, item_id, doc_word, item_word, n_matched, n_words) for each text and item
     that share a window: the words from which, and the best window's agreement.
@@ -82,7 +88,7 @@ def find_leaks(docs: DataFrame, items: DataFrame, masks: tuple[str, ...] = MASKS
         spans.join(F.broadcast(seeds) if small else seeds, "seed").select("doc_id", "digest", "item_id", (F.col("at") - F.col("item_at")).alias("shift")).distinct(),
         "hits",
     )
-    hit_texts = texts.join(hits.select("digest").distinct(), "digest", "left_semi").groupBy("digest").agg(F.first("w").alias("w"))
+    hit_texts = texts.join(_small(hits.select("digest").distinct(), max_broadcast), "digest", "left_semi").groupBy("digest").agg(F.first("w").alias("w"))
     aligned = (
         hits.select("digest", "item_id", "shift").distinct()
         .join(tests.select("item_id", F.col("w").alias("v")), "item_id")
@@ -105,7 +111,8 @@ def find_leaks(docs: DataFrame, items: DataFrame, masks: tuple[str, ...] = MASKS
     )
 
 
-def drop_leaks(docs: DataFrame, items: DataFrame, **options) -> DataFrame:
+def drop_leaks(docs: DataFrame, items: DataFrame, max_broadcast: int = 2_000_000, **options) -> DataFrame:
     """``docs`` with all its columns, without the rows whose text shares a window with an item."""
-    bad = find_leaks(docs, items, **options).select(F.col("digest").alias("_bad")).distinct()
+    found = find_leaks(docs, items, max_broadcast=max_broadcast, **options)
+    bad = _small(found.select(F.col("digest").alias("_bad")).distinct(), max_broadcast)
     return docs.join(bad, F.md5(docs["text"]) == bad["_bad"], "left_anti")
