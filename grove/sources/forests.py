@@ -94,8 +94,13 @@ def turn_paths(spark: SparkSession, d: str) -> DataFrame:
 
 
 def time_line(spark: SparkSession, d: str) -> DataFrame:
-    """One path over all events: a deliberate worst case, ordered without a partition key."""
-    return forest_from_sequence(table(spark, d, "events"), "event_id", None, ["ts", "event_id"])
+    """One path over all events: a deliberate worst case. Events are ordered within their hour, and the first
+    of an hour follows the last of the hour before that has any: one row an hour meets in one task."""
+    e = table(spark, d, "events").select("event_id", "ts", F.date_trunc("hour", "ts").alias("hour"))
+    ends = e.groupBy("hour").agg(F.max_by("event_id", F.struct("ts", "event_id")).alias("last"))
+    before = ends.select("hour", F.lag("last").over(W.partitionBy(F.lit(0)).orderBy("hour")).alias("last"))
+    inside = F.lag("event_id").over(W.partitionBy("hour").orderBy("ts", "event_id"))
+    return e.withColumn("b", inside).join(before, "hour").select(F.col("event_id").cast("long").alias("v"), F.coalesce("b", "last", "event_id").cast("long").alias("parent"))
 
 
 def trie_keys(urls: DataFrame, url: str = "url") -> DataFrame:
