@@ -49,6 +49,8 @@ from grove.session import cut, drop_cut
 BANDS, ROWS = 20, 5
 #: Members of a large group that each of its blocks has.
 ANCHORS = 64
+#: Ids that are broadcast, once counted, to meet the texts; more of them meet by a shuffle.
+BROADCAST_IDS = 2_000_000
 _PERMS = BANDS * ROWS // 2
 _rng = np.random.default_rng(77)
 _MUL = (_rng.integers(0, 2**31, _PERMS, dtype=np.uint32) * np.uint32(2)) + np.uint32(1)
@@ -277,6 +279,12 @@ def _linked(members: DataFrame, group: str, find: Callable[[Iterator[pa.RecordBa
     return first.unionByName(cut(run(rest), "links"))
 
 
+def _few(ids: DataFrame) -> DataFrame:
+    """The written table ``ids``, with a hint to broadcast if its rows are counted to be few:
+    a plan's own guess of its size would shuffle every text to meet them."""
+    return F.broadcast(ids) if ids.count() <= BROADCAST_IDS else ids
+
+
 def near_duplicates(
     docs: DataFrame, percent: int = 85, width: int = 5, loose: float | None = None, block: int = 1024, block_shingles: int = 2_000_000
 ) -> DataFrame:
@@ -303,7 +311,7 @@ def near_duplicates(
     member = exploded.join(shared, "key").select("rep", "key", "n", F.ceil(F.col("n") / block).cast("int").alias("blocks"))
     linked = _linked(member.join(classes.select("rep", "sketch"), "rep"), "key", lambda it: _loose(it, loose))
     clusters = cut(star_components(linked), "clusters")
-    texts = rows.join(clusters.select(F.col("v").alias("doc_id"), F.col("leader").alias("cluster")), "doc_id").select("doc_id", "cluster", "text")
+    texts = rows.join(_few(clusters.select(F.col("v").alias("doc_id"), F.col("leader").alias("cluster"))), "doc_id").select("doc_id", "cluster", "text")
     sets = cut(texts.mapInArrow(lambda it: _sets(it, width), "doc_id long, cluster long, shingles binary").withColumnRenamed("doc_id", "rep"), "sets")
     load = sets.groupBy("cluster").agg(F.greatest(F.ceil(F.sum(F.length("shingles")) / (8 * block_shingles)), F.lit(1)).cast("int").alias("blocks"), F.count("*").alias("n"))
     strict = _linked(sets.join(load, "cluster"), "cluster", lambda it: _strict(it, percent))
@@ -323,5 +331,5 @@ def keep_one(docs: DataFrame, percent: int = 80, width: int = 5) -> DataFrame:
     """``docs`` with one document of each group of near copies: the least id.
 
     Rows with the same id are one document and stay or go together."""
-    gone = near_duplicates(docs, percent, width).where("not kept").select(F.col("doc_id").alias("_gone")).distinct()
+    gone = _few(cut(near_duplicates(docs, percent, width).where("not kept").select(F.col("doc_id").alias("_gone")).distinct(), "gone"))
     return docs.join(gone, docs["doc_id"] == gone["_gone"], "left_anti")
