@@ -32,6 +32,8 @@ from grove.session import cut
 _MARK = "\x01"
 #: Text that shares one table of distinct words.
 BLOCK_BYTES = 32 << 20
+#: Text of a block that is split into words at once; of a part only its words' numbers stay.
+SPLIT_BYTES = 2 << 20
 _LOADED: dict[str, tuple] = {}
 
 
@@ -91,17 +93,26 @@ def word_ids(words: list[str], path: str) -> tuple[np.ndarray, np.ndarray]:
 
 def encode_column(column: pa.Array, path: str, end_id: int | None) -> Iterator[tuple[int, np.ndarray, np.ndarray]]:
     """(first row, ids, offsets) for consecutive runs of rows."""
-    lists = pc.ascii_split_whitespace(column.cast(pa.large_string()).fill_null(""))
-    coded = lists.flatten().dictionary_encode()
-    low = pc.ascii_lower(coded.dictionary).dictionary_encode()  # the tokenizer lower-cases
+    if len(column) == 0:
+        return
+    parts, counts = [], []
+    for part in ta.slices(pa.RecordBatch.from_arrays([column], ["text"]), "text", SPLIT_BYTES):
+        lists = pc.ascii_split_whitespace(part.column("text").cast(pa.large_string()).fill_null(""))
+        parts.append(lists.flatten().dictionary_encode())
+        counts.append(np.diff(lists.offsets.to_numpy()))
+    del lists
+    parts = pa.chunked_array(parts).unify_dictionaries().chunks
+    low = pc.ascii_lower(parts[0].dictionary).dictionary_encode()  # the tokenizer lower-cases
     ids, sizes = word_ids(low.dictionary.to_pylist(), path)
     begin = np.concatenate([[0], np.cumsum(sizes)[:-1]]) if len(sizes) else np.zeros(0, np.int64)
-    code = low.indices.to_numpy(zero_copy_only=False)[coded.indices.to_numpy(zero_copy_only=False)]
-    offs = lists.offsets.to_numpy() - lists.offsets[0].as_py() if len(lists) else np.zeros(1, np.int64)
+    number = low.indices.to_numpy(zero_copy_only=False)
+    code = np.concatenate([number[x.indices.to_numpy(zero_copy_only=False)] for x in parts])
+    del parts, low
+    offs = np.concatenate([[0], np.cumsum(np.concatenate(counts), dtype=np.int64)])
     row = 0
-    while row < len(lists):
+    while row < len(column):
         stop = max(row + 1, int(np.searchsorted(offs, offs[row] + 500_000, "right")) - 1)
-        stop = min(stop, len(lists))
+        stop = min(stop, len(column))
         mine = code[offs[row] : offs[stop]]
         n = sizes[mine]
         ends = np.cumsum(n)
@@ -119,14 +130,21 @@ def _merged(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """Batches put together up to a block's size: the more text, the fewer distinct words in all."""
     held: list[pa.RecordBatch] = []
     size = 0
+
+    def whole() -> list[pa.RecordBatch]:
+        out = pa.Table.from_batches(held).combine_chunks().to_batches()
+        held.clear()  # the parts go before the block is worked on
+        return out
+
     for b in batches:
         held.append(b)
         size += b.column("text").nbytes
+        del b
         if size >= BLOCK_BYTES * 3 // 4:
-            yield from pa.Table.from_batches(held).combine_chunks().to_batches()
-            held, size = [], 0
+            size = 0
+            yield from whole()
     if held:
-        yield from pa.Table.from_batches(held).combine_chunks().to_batches()
+        yield from whole()
 
 
 def _pieces(batches: Iterator[pa.RecordBatch], path: str, end_id: int, length: int, keep_ids: bool) -> Iterator[pa.RecordBatch]:
