@@ -31,7 +31,7 @@ from grove.session import cut
 
 _MARK = "\x01"
 #: Text that shares one table of distinct words.
-BLOCK_BYTES = 32 << 20
+BLOCK_BYTES = 16 << 20
 #: Text of a block that is split into words at once; of a part only its words' numbers stay.
 SPLIT_BYTES = 2 << 20
 _LOADED: dict[str, tuple] = {}
