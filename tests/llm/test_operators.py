@@ -449,6 +449,14 @@ def test_flood_is_exact():
     assert up == want
 
 
+def test_one_copy_stays_beyond_the_broadcast(spark, monkeypatch):
+    monkeypatch.setattr(minmax, "BROADCAST_IDS", -1)
+    rows = list(enumerate([t for k in range(3) for t in family(k, 4)], 100)) + ODD
+    want = brute_components(rows, 80)
+    kept = minmax.keep_one(docs(spark, rows), 80)
+    assert sorted(str(r.doc_id) for r in kept.collect()) == sorted(str(i) for i, _ in rows if i is None or want[i] == i)
+
+
 def test_near_duplicates_empty(spark):
     assert minmax.near_duplicates(docs(spark, [])).count() == 0
 
