@@ -34,6 +34,8 @@ _MARK = "\x01"
 BLOCK_BYTES = 16 << 20
 #: Text of a block that is split into words at once; of a part only its words' numbers stay.
 SPLIT_BYTES = 2 << 20
+#: Pieces that a group hands back at once: an executor keeps buffers as large as its largest batch.
+OUT_ROWS = 256
 _LOADED: dict[str, tuple] = {}
 
 
@@ -213,15 +215,19 @@ def first_fit_decreasing(sizes: np.ndarray, capacity: int) -> tuple[np.ndarray,
 
 
 def _pack_group(t: pa.Table, capacity: int, narrow: str) -> pa.Table:
+    t = t.combine_chunks()
     order = pc.sort_indices(t, [("length", "descending"), ("doc_id", "ascending"), ("start", "ascending"), ("deal", "ascending")])
-    t = t.take(order)
-    where, offset = first_fit_decreasing(t.column("length").to_numpy(), capacity)
+    where, offset = first_fit_decreasing(t.column("length").take(order).to_numpy(), capacity)
     first = t.column("grp")[0].as_py() << 24
-    if "ids" in t.column_names:
-        wide = [np.frombuffer(x, narrow).astype("<u4").tobytes() for x in t.column("ids").to_pylist()]
-        t = t.set_column(t.column_names.index("ids"), "ids", pa.array(wide, pa.binary()))
     keep = [c for c in t.column_names if c not in ("grp", "deal")]
-    return t.select(keep).append_column("sequence_id", pa.array(first + where)).append_column("offset", pa.array(offset))
+    out = []
+    for k in range(0, len(order), OUT_ROWS):
+        part = t.select(keep).take(order[k : k + OUT_ROWS])
+        if "ids" in keep:
+            wide = [np.frombuffer(x, narrow).astype("<u4").tobytes() for x in part.column("ids").to_pylist()]
+            part = part.set_column(keep.index("ids"), "ids", pa.array(wide, pa.binary()))
+        out.append(part.append_column("sequence_id", pa.array(first + where[k : k + OUT_ROWS])).append_column("offset", pa.array(offset[k : k + OUT_ROWS])))
+    return pa.concat_tables(out)
 
 
 _SCHEMA = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long"

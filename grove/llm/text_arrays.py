@@ -43,13 +43,15 @@ _POW: dict[str, np.ndarray] = {}
 #: Weights of the five words of a shingle.
 _PLACE = _rng.integers(0, 2**63, 8, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
 CHUNK_BYTES = 1 << 20
-#: Rows of whole texts that Spark hands to Python at once.
-BATCH_ROWS = 4000
+#: Rows of whole texts, and bytes of them, that Spark hands to Python at once.
+BATCH_ROWS, BATCH_BYTES = 4000, 2 << 20
 
 
 def whole_texts(df: DataFrame) -> DataFrame:
-    """``df`` in Arrow batches of a bounded number of texts (a setting of the running session)."""
+    """``df`` in Arrow batches of a bounded number and size of texts (settings of the running session).
+    Executors keep the buffers of their largest batches, beside their heap."""
     df.sparkSession.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", BATCH_ROWS)
+    df.sparkSession.conf.set("spark.sql.execution.arrow.maxBytesPerBatch", BATCH_BYTES)
     return df
 
 
